@@ -72,22 +72,20 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", most_rounds: int =
     Alternating stars: each node hands its larger neighbours to the smallest one it knows, then its smaller ones.
     The number of rounds grows with the logarithm of the longest path. A round is two aggregations with map-side
     combining and two equi-joins whose skewed partitions adaptive execution may split; its result is staged, so
-    that lineage does not grow."""
+    that lineage does not grow. It ends when every node has one parent and no parent has one."""
     links = edges.select(F.col(a).cast("long").alias("u"), F.col(b).cast("long").alias("v")).where("u is not null and v is not null and u <> v")
-    links = staged(links.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "links")
-    before = None
+    links = staged(links.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")), "links")
     for _ in range(most_rounds):
-        both = links.unionByName(links.select(F.col("v").alias("u"), F.col("u").alias("v")))
+        both = links.select(F.explode(F.array(F.struct("u", "v"), F.struct(F.col("v").alias("u"), F.col("u").alias("v")))).alias("e")).select("e.u", "e.v")
         least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        large = large.where("u <> v").distinct()
+        large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         small_least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(small_least, "u").select(F.explode(F.array(F.struct(F.col("u"), F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e"))
         links = staged(small.select("e.u", "e.v").where("u <> v").distinct(), "links")
-        now = links.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
-        if now == before:
+        roles = links.select(F.explode(F.array(F.struct(F.col("u").alias("n"), F.lit(1).alias("child")), F.struct(F.col("v").alias("n"), F.lit(0).alias("child")))).alias("r")).select("r.n", "r.child")
+        roles = roles.groupBy("n").agg(F.sum("child").alias("parents"), F.min("child").alias("leaf"))
+        if roles.where("parents > 1 or (parents = 1 and leaf = 0)").isEmpty():
             break
-        before = now
     else:
         raise RuntimeError("components did not settle")
     nodes = links.select(F.col("u").alias("node"), F.col("v").alias("component"))

@@ -11,22 +11,31 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
-def stars(entries: DataFrame) -> DataFrame:
-    """Distinct (a, b), a < b: each member with its bucket's leader. entries: (bucket, id, ...). Every other bucket is led
-    by its greatest id, so that a member in several buckets meets several leaders."""
-    led = entries.groupBy("bucket").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo < hi")
-    led = led.select("bucket", F.when(F.pmod("bucket", F.lit(2)) == 0, F.col("lo")).otherwise(F.col("hi")).alias("leader"))
-    pairs = entries.join(led, "bucket").where("id <> leader")
-    return pairs.select(F.least("id", "leader").alias("a"), F.greatest("id", "leader").alias("b")).distinct()
+def led(entries: DataFrame) -> DataFrame:
+    """entries (bucket, id, ...) of buckets with several ids, and each bucket's leader: the id that comes first when the
+    bucket's own number is mixed into all, so that a member in several buckets meets several leaders."""
+    mixed = F.col("id").bitwiseXOR(F.col("bucket"))
+    leaders = entries.groupBy("bucket").agg(F.min(mixed).alias("lo"), F.max(mixed).alias("hi")).where("lo < hi")
+    return entries.join(leaders.select("bucket", F.col("lo").bitwiseXOR(F.col("bucket")).alias("leader")), "bucket")
 
 
-def across(entries: DataFrame, component: DataFrame, near: Column | None = None) -> DataFrame:
-    """Distinct (a, b), a < b: members of one bucket that lie in different components. component: (node, component);
-    ids that it lacks are their own. In each bucket the component of the least id is compared with all others by its
-    members, and the others with each other. near: a condition on l.* and r.* columns of entries."""
+def stars(with_leader: DataFrame) -> DataFrame:
+    """Distinct (a, b): each member a with its buckets' leaders b."""
+    return with_leader.where("id <> leader").select(F.col("id").alias("a"), F.col("leader").alias("b")).distinct()
+
+
+def unsettled(entries: DataFrame, component: DataFrame) -> DataFrame:
+    """The entries of buckets whose members lie in several components, with component and the bucket's size n.
+    component: (node, component); ids that it lacks are their own."""
     known = entries.join(component.withColumnRenamed("node", "id"), "id", "left").withColumn("component", F.coalesce("component", "id"))
-    mixed = known.groupBy("bucket").agg(F.min("component").alias("c_lo"), F.max("component").alias("c_hi")).where("c_lo < c_hi").select("bucket")
-    left = known.join(mixed, "bucket")
+    mixed = known.groupBy("bucket").agg(F.min("component").alias("c_lo"), F.max("component").alias("c_hi"), F.count("*").alias("n")).where("c_lo < c_hi")
+    return known.join(mixed.select("bucket", "n"), "bucket")
+
+
+def across(entries: DataFrame, component: DataFrame, near: Column | None = None) -> DataFrame:
+    """Distinct (a, b), a < b: members of one bucket that lie in different components. near: a condition on l.* and r.*
+    columns of entries, under which they are told."""
+    left = unsettled(entries, component)
     on = (F.col("l.bucket") == F.col("r.bucket")) & (F.col("l.component") < F.col("r.component"))
     pairs = left.alias("l").join(left.alias("r"), on if near is None else on & near)
     return pairs.select(F.least("l.id", "r.id").alias("a"), F.greatest("l.id", "r.id").alias("b")).distinct()

@@ -1,10 +1,11 @@
 """MinHash near-dedup with sequential Bayesian verification.
 
 Texts become sets of hashed word shingles and MinHash signatures. Equal sets are one node. Bands of the signatures give
-candidate pairs (see buckets.py: stars first, then what still lies across components). The signatures of a pair are
-compared in batches; after each, the posterior of the similarity, from a uniform prior, drops the pair if it reaches the
-threshold with less than the chosen miss probability. Survivors are verified on the full sets of shingles, rebuilt from
-the texts of those documents alone, and the verified links give connected components.
+buckets. Each member is compared with its buckets' leaders first, and the verified links give components; then, inside
+buckets whose members lie in several components, all pairs over two components are compared, in blocks of signatures, so
+that a large group costs comparisons in memory and not rows. Signatures are compared in batches; after each, the
+posterior of the similarity, from a uniform prior, drops the pair if it reaches the threshold with less than the chosen
+miss probability. Survivors are verified on the full sets of shingles, rebuilt from the texts of those documents alone.
 
 Misses: a pair at the threshold shares no band with probability (1 - t^ROWS)^BANDS, about 8e-6 at 0.85, and is pruned
 wrongly with about MISS. Sets are compared by 64-bit shingle hashes.
@@ -23,17 +24,21 @@ import numpy as np
 import pandas as pd
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from facetsel.llm.buckets import across, stars
+from facetsel.llm.buckets import led, stars, unsettled
 from facetsel.llm.common import components, ship, staged, table
 
 SHINGLE, PERCENT = 5, 85
 BANDS, ROWS = 20, 5
-BATCH, MISS = 20, 1e-5
+#: Positions of a signature, of which the low byte is kept; those after which a pair may be pruned; miss probability.
+WIDTH, STEPS, MISS = 512, (32, 64, 128, 256, 512), 1e-5
+#: Members of a bucket that are compared with each other in one piece; candidates of a member that are verified first.
+BLOCK, FIRST = 512, 2
 _RNG = np.random.default_rng(11)
-_A = (_RNG.integers(0, 2**32, BANDS * ROWS, dtype=np.uint64) | np.uint64(1)).astype(np.uint32)
-_B = _RNG.integers(0, 2**32, BANDS * ROWS, dtype=np.uint64).astype(np.uint32)
+_A = (_RNG.integers(0, 2**32, WIDTH, dtype=np.uint64) | np.uint64(1)).astype(np.uint32)
+_B = _RNG.integers(0, 2**32, WIDTH, dtype=np.uint64).astype(np.uint32)
 _STEP = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F], np.uint64)
 
 
@@ -63,11 +68,13 @@ def shingles(text: str | None, k: int = SHINGLE) -> np.ndarray:
     return np.unique(out ^ (out >> np.uint64(32)))
 
 
-def signature(hashes: np.ndarray, block: int = 4096) -> np.ndarray:
+def signature(hashes: np.ndarray, block: int = 2048) -> np.ndarray:
     x = (hashes >> np.uint64(32)).astype(np.uint32)
     out = np.full(len(_A), 2**32 - 1, np.uint32)
     for i in range(0, len(x), block):
-        out = np.minimum(out, (x[i : i + block, None] * _A + _B).min(axis=0))
+        part = x[i : i + block, None] * _A
+        part += _B
+        np.minimum(out, part.min(axis=0), out=out)
     return out
 
 
@@ -83,31 +90,127 @@ def least_matches(n: int, threshold: float, miss: float) -> int:
 
 
 def sketch(docs: DataFrame, text: str, key: str) -> DataFrame:
+    """(doc_id, n_shingles, h1, h2, bands, sig): 128 bits that name the set, 64 bits for each band, a byte a position."""
     ship(docs.sparkSession)
+    bits64 = (1 << 64) - 1
 
     def sketched(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
             sets = [shingles(t) for t in b["t"]]
             digests = [xxhash.xxh3_128_intdigest(s.tobytes()) for s in sets]
-            yield pd.DataFrame({"doc_id": b["k"].astype("Int64"), "n_shingles": [len(s) for s in sets], "h1": np.array([d >> 64 for d in digests], np.uint64).view(np.int64), "h2": np.array([d & ((1 << 64) - 1) for d in digests], np.uint64).view(np.int64), "sig": [signature(s).tobytes() for s in sets]})
+            bands, sigs = [], []
+            for s in sets:
+                sig = signature(s)
+                raw = sig[: BANDS * ROWS].tobytes()
+                bands.append(b"".join(xxhash.xxh3_64_digest(raw[4 * ROWS * i : 4 * ROWS * (i + 1)], seed=i) for i in range(BANDS)))
+                sigs.append(sig.astype(np.uint8).tobytes())
+            yield pd.DataFrame({"doc_id": b["k"].astype("Int64"), "n_shingles": [len(s) for s in sets], "h1": np.array([d >> 64 for d in digests], np.uint64).view(np.int64), "h2": np.array([d & bits64 for d in digests], np.uint64).view(np.int64), "bands": bands, "sig": sigs})
 
-    return docs.select(F.col(key).alias("k"), F.col(text).alias("t")).mapInPandas(sketched, "doc_id long, n_shingles long, h1 long, h2 long, sig binary")
+    return docs.select(F.col(key).alias("k"), F.col(text).alias("t")).mapInPandas(sketched, "doc_id long, n_shingles long, h1 long, h2 long, bands binary, sig binary")
 
 
-def _promising(percent: int):
-    """Pairs that the Bayesian comparison leaves; the signature positions are read in batches."""
-    steps = [(n, least_matches(n, percent / 100, MISS)) for n in range(BATCH, BANDS * ROWS + 1, BATCH)]
+def steps_of(percent: int) -> list[tuple[int, int]]:
+    """(positions read, fewest equal). Two different minima have equal low bytes once in 256 times."""
+    t = percent / 100
+    return [(n, least_matches(n, t + (1 - t) / 256, MISS)) for n in STEPS]
+
+
+def promising(left: np.ndarray, right: np.ndarray, steps: list[tuple[int, int]]) -> tuple[np.ndarray, np.ndarray]:
+    """Indices of the pairs (rows of left and right) that no step prunes, and their numbers of equal positions."""
+    live, equal, at = np.arange(len(left)), np.zeros(len(left), np.int64), 0
+    for n, least in steps:
+        equal[live] += (left[live, at:n] == right[live, at:n]).sum(axis=1)
+        live, at = live[equal[live] >= least], n
+    return live, equal[live]
+
+
+def _matrix(column, width: int, kind=np.uint8) -> np.ndarray:
+    return np.frombuffer(b"".join(column), kind).reshape(len(column), width)
+
+
+def _first_look(percent: int):
+    """Pairs (a, b, equal) of members and leaders that the Bayesian comparison leaves."""
+    steps = steps_of(percent)
 
     def compared(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
-            live = np.arange(len(b))
             if len(b):
-                left, right = (np.frombuffer(b"".join(b[c]), np.uint32).reshape(len(b), -1) for c in ("sa", "sb"))
-                equal, at = np.zeros(len(b), np.int64), 0
-                for n, least in steps:
-                    equal[live] += (left[live, at:n] == right[live, at:n]).sum(axis=1)
-                    live, at = live[equal[live] >= least], n
-            yield b[["a", "b"]].iloc[live]
+                live, equal = promising(_matrix(b["sa"], WIDTH), _matrix(b["sb"], WIDTH), steps)
+                yield b[["a", "b"]].iloc[live].assign(equal=equal)
+
+    return compared
+
+
+def block_pairs(comp, block, size, sig, bands, band, steps, percent) -> tuple[np.ndarray, np.ndarray]:
+    """Of the members of one bucket, or of two blocks of one: the pairs over two components, of sizes that allow the
+    similarity, that no step prunes; only in the first band that the two share. Blocks that are equal everywhere mean
+    one block, all of whose pairs are compared."""
+    n, out = len(comp), []
+    two = block.min() < block.max()
+    for i in range(0, n, 128):
+        rows = slice(i, min(n, i + 128))
+        ok = (comp[rows, None] != comp[None, :]) & (np.arange(n)[rows, None] < np.arange(n)[None, :])
+        ok &= 100 * np.minimum(size[rows, None], size[None, :]) >= percent * np.maximum(size[rows, None], size[None, :])
+        if two:
+            ok &= block[rows, None] != block[None, :]
+        x, y = np.nonzero(ok)
+        x = x + i
+        for j in range(0, len(x), 1 << 16):
+            xs, ys = x[j : j + (1 << 16)], y[j : j + (1 << 16)]
+            live = promising(sig[xs], sig[ys], steps)[0] if len(xs) < 64 else _stepwise(sig, xs, ys, steps)
+            xs, ys = xs[live], ys[live]
+            first = (bands[xs] == bands[ys]).argmax(axis=1) == band
+            out.append((xs[first], ys[first]))
+    if not out:
+        return np.zeros(0, int), np.zeros(0, int)
+    return np.concatenate([x for x, _ in out]), np.concatenate([y for _, y in out])
+
+
+def _stepwise(sig: np.ndarray, xs: np.ndarray, ys: np.ndarray, steps: list[tuple[int, int]]) -> np.ndarray:
+    """promising() without copies of whole signatures."""
+    live, equal, at = np.arange(len(xs)), np.zeros(len(xs), np.int64), 0
+    for n, least in steps:
+        part = np.ascontiguousarray(sig[:, at:n])
+        equal[live] += (part[xs[live]] == part[ys[live]]).sum(axis=1)
+        live, at = live[equal[live] >= least], n
+    return live
+
+
+def _across(percent: int):
+    """Pairs of each run of rows with equal (bucket, bi, bj); a run has two blocks' rows at most and may span batches."""
+    steps = steps_of(percent)
+
+    def pairs_of(rows: pd.DataFrame) -> pd.DataFrame:
+        key = rows[["bucket", "bi", "bj"]].to_numpy()
+        starts = np.flatnonzero(np.r_[True, (key[1:] != key[:-1]).any(axis=1)])
+        ends = np.r_[starts[1:], len(rows)]
+        ids, comp, block, size, band = (rows[c].to_numpy() for c in ("id", "component", "block", "n_shingles", "band"))
+        sig, bands = _matrix(rows["sig"], WIDTH), _matrix(rows["bands"], BANDS, np.uint64)
+        a, b = [], []
+        twos = starts[ends - starts == 2]
+        twos = twos[comp[twos] != comp[twos + 1]]
+        if len(twos):
+            live = promising(sig[twos], sig[twos + 1], steps)[0]
+            x = twos[live]
+            x = x[(bands[x] == bands[x + 1]).argmax(axis=1) == band[x]] if len(x) else x
+            a.append(ids[x]), b.append(ids[x + 1])
+        for s, e in zip(starts, ends, strict=True):
+            if e - s > 2:
+                x, y = block_pairs(comp[s:e], block[s:e], size[s:e], sig[s:e], bands[s:e], band[s], steps, percent)
+                a.append(ids[s + x]), b.append(ids[s + y])
+        a, b = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (a, b))
+        return pd.DataFrame({"a": np.minimum(a, b), "b": np.maximum(a, b)})
+
+    def compared(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        held = None
+        for rows in batches:
+            rows = rows if held is None else pd.concat([held, rows], ignore_index=True)
+            last = (rows[["bucket", "bi", "bj"]] == rows[["bucket", "bi", "bj"]].iloc[-1]).all(axis=1).to_numpy() if len(rows) else np.zeros(0, bool)
+            held = rows[last].reset_index(drop=True)
+            if not last.all():
+                yield pairs_of(rows[~last].reset_index(drop=True))
+        if held is not None and len(held):
+            yield pairs_of(held)
 
     return compared
 
@@ -131,41 +234,50 @@ def _verified(percent: int):
     return checked
 
 
-def _links(pairs: DataFrame, reps: DataFrame, docs: DataFrame, text: str, key: str, percent: int) -> DataFrame:
-    side = lambda x, s: reps.select(F.col("doc_id").alias(x), F.col("sig").alias(s), F.col("n_shingles").alias(f"n{x}"))
-    both = pairs.join(side("a", "sa"), "a").join(side("b", "sb"), "b").where(f"100 * least(na, nb) >= {percent} * greatest(na, nb)")
-    left = staged(both.select("a", "b", "sa", "sb").mapInPandas(_promising(percent), "a long, b long"), "pairs")
-    named = left.select(F.explode(F.array("a", "b")).alias("id")).distinct()
+def _links(pairs: DataFrame, docs: DataFrame, text: str, key: str, percent: int) -> DataFrame:
+    """The pairs whose full sets are similar. pairs is staged."""
+    named = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
     texts = docs.select(F.col(key).alias("id"), F.col(text).alias("t")).join(named, "id").groupBy("id").agg(F.min("t").alias("t"))
     texts = staged(texts, "texts")
-    pairs = left.join(texts.select(F.col("id").alias("a"), F.col("t").alias("ta")), "a").join(texts.select(F.col("id").alias("b"), F.col("t").alias("tb")), "b")
+    pairs = pairs.join(texts.select(F.col("id").alias("a"), F.col("t").alias("ta")), "a").join(texts.select(F.col("id").alias("b"), F.col("t").alias("tb")), "b")
     return staged(pairs.select("a", "b", "ta", "tb").mapInPandas(_verified(percent), "a long, b long"), "near-links")
 
 
 def near_components(docs: DataFrame, text: str = "text", key: str = "doc_id", percent: int = PERCENT) -> tuple[DataFrame, DataFrame]:
-    """(rows, groups): rows (doc_id, n_shingles) of every row of docs; groups (node, component) of ids that have links."""
+    """(rows, groups): rows (doc_id, n_shingles) of every row of docs; groups (doc_id, component) of every id with a set."""
     rows = staged(sketch(docs, text, key), "sketches")
     full = rows.where("n_shingles > 0 and doc_id is not null")
     first = full.groupBy("h1", "h2").agg(F.min("doc_id").alias("rep"))
-    owned = staged(full.join(first, ["h1", "h2"]).select("doc_id", "rep", "n_shingles", F.when(F.col("doc_id") == F.col("rep"), F.col("sig")).alias("sig")), "owned")
-    copies = owned.where("doc_id <> rep").select(F.col("rep").alias("a"), F.col("doc_id").alias("b")).distinct()
-    reps = owned.where("doc_id = rep").dropDuplicates(["doc_id"]).select("doc_id", "n_shingles", "sig")
-    cut = [F.xxhash64(F.lit(i), F.expr(f"substring(sig, {4 * ROWS * i + 1}, {4 * ROWS})")) for i in range(BANDS)]
-    entries = reps.select(F.col("doc_id").alias("id"), F.explode(F.array(*cut)).alias("bucket"))
-    met = entries.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1").select("bucket")
-    entries = staged(entries.join(met, "bucket"), "buckets")
-    links = _links(stars(entries), reps, docs, text, key, percent)
+    mine = lambda c: F.when(F.col("doc_id") == F.col("rep"), F.col(c)).alias(c)
+    owned = staged(full.join(first, ["h1", "h2"]).select("doc_id", "rep", "n_shingles", mine("bands"), mine("sig")), "owned")
+    reps = staged(owned.where("doc_id = rep").dropDuplicates(["doc_id", "bands"]).select(F.col("doc_id").alias("id"), "n_shingles", "bands", "sig"), "reps")
+    cut = F.array(*[F.xxhash64(F.lit(i), F.expr(f"substring(bands, {8 * i + 1}, 8)")) for i in range(BANDS)])
+    entries = staged(led(reps.select("id", F.posexplode(cut).alias("band", "bucket"))), "buckets")
+
+    side = lambda x, s: reps.select(F.col("id").alias(x), F.col("sig").alias(s), F.col("n_shingles").alias(f"n{x}"))
+    looked = stars(entries).join(side("a", "sa"), "a").join(side("b", "sb"), "b").where(f"100 * least(na, nb) >= {percent} * greatest(na, nb)")
+    looked = looked.select("a", "b", "sa", "sb").mapInPandas(_first_look(percent), "a long, b long, equal long")
+    best = looked.withColumn("nth", F.row_number().over(W.partitionBy("a").orderBy(F.desc("equal"), "b"))).where(F.col("nth") <= FIRST)
+    links = _links(staged(best.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "pairs"), docs, text, key, percent)
     found = components(links)
-    rest = staged(across(entries, found), "across")
+
+    left = unsettled(entries.select("id", "band", "bucket"), found).join(reps, "id")
+    blocks = F.ceil(F.col("n") / BLOCK).cast("int")
+    left = left.withColumn("block", F.pmod(F.xxhash64("id"), blocks).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
+    left = left.select("bucket", F.least("block", "other").alias("bi"), F.greatest("block", "other").alias("bj"), "id", "component", "block", "band", "n_shingles", "bands", "sig")
+    dealt = left.repartition("bucket", "bi", "bj").sortWithinPartitions("bucket", "bi", "bj")
+    rest = staged(dealt.mapInPandas(_across(percent), "a long, b long").distinct(), "across")
     if not rest.isEmpty():
-        links = links.unionByName(_links(rest, reps, docs, text, key, percent))
-    return rows.select("doc_id", "n_shingles"), components(links.unionByName(copies))
+        found = components(links.unionByName(_links(rest, docs, text, key, percent)))
+    by_set = owned.select("doc_id", "rep").distinct().join(found.withColumnRenamed("node", "rep"), "rep", "left")
+    return rows.select("doc_id", "n_shingles"), by_set.select("doc_id", F.coalesce("component", "rep").alias("component"))
 
 
 def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id", percent: int = PERCENT) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) for every row."""
     rows, groups = near_components(docs, text, key, percent)
-    out = rows.join(groups.select(F.col("node").alias("doc_id"), "component"), "doc_id", "left")
+    groups = groups.where("doc_id <> component").groupBy("doc_id").agg(F.min("component").alias("component"))
+    out = rows.join(groups, "doc_id", "left")
     out = out.select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
     return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 
@@ -177,5 +289,4 @@ def op7_near(spark: SparkSession, sf_dir: str) -> DataFrame:
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group: the one with the least id (of rows with that same id, one)."""
     groups = near_components(docs)[1]
-    gone = groups.where("node <> component").select(F.col("node").alias("doc_id"))
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    return docs.join(groups.where("doc_id <> component").select("doc_id").distinct(), "doc_id", "left_anti").select(*docs.columns)

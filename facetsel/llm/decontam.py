@@ -170,16 +170,20 @@ def op5_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def _clean(index: SeedIndex, spark: SparkSession):
+    sent = spark.sparkContext.broadcast(index)
+
+    @F.pandas_udf("boolean")
+    def clean(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        for texts in batches:
+            yield pd.Series([not sent.value.overlaps(t) for t in texts], dtype=bool)
+
+    return clean
+
+
 def decontaminate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The documents that overlap no benchmark item; each is judged where it lies, without a join."""
     ship(spark)
     for index in item_blocks(table(spark, sf_dir, "benchmark"), "item_id", "text", BLOCK_ITEMS):
-        sent = spark.sparkContext.broadcast(index)
-
-        @F.pandas_udf("boolean")
-        def clean(batches: Iterator[pd.Series], sent=sent) -> Iterator[pd.Series]:
-            for texts in batches:
-                yield pd.Series([not sent.value.overlaps(t) for t in texts], dtype=bool)
-
-        docs = docs.where(clean("text"))
+        docs = docs.where(_clean(index, spark)("text"))
     return docs

@@ -73,7 +73,7 @@ def quality_judgement(instances: DataFrame) -> DataFrame:
 QUALITY_LEVEL = "case when n = 0 then 0 else 5 - (case when junk * 10 >= n then 2 when junk * 50 >= n then 1 else 0 end) - (case when shout * 10 >= n then 2 when shout * 50 >= n then 1 else 0 end) - (case when rep >= 1 then 1 else 0 end) end"
 QUALITY_SQL = rf"""SELECT instance_id, source, lang, CAST({QUALITY_LEVEL} AS INT) AS r_quality, 1 AS g_any, n FROM (
   SELECT instance_id, source, lang, len(regexp_extract_all(body, '[^ \n]+')) AS n, len(regexp_extract_all(body, '[#$%&*|]')) AS junk, len(regexp_extract_all(body, '[A-Z]{{4,}}')) AS shout,
-         len(string_split(body, chr(10))) - len(list_distinct(string_split(body, chr(10)))) AS rep FROM ({{flat}}))"""
+         len(string_split(body, chr(10))) - len(list_distinct(string_split(body, chr(10)))) AS rep FROM (FLAT))"""
 
 
 def judgement_cost(n_sample: int, n_facets: int = len(FACETS), n_styles: int = len(STYLES)) -> int:

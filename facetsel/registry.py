@@ -1,8 +1,8 @@
 """All registered queries of the engine, but those of the llm subpackage."""
 
-from facetsel.plans import selection
+from facetsel.plans import comparison, selection
 
-_PARTS = (selection,)
+_PARTS = (selection, comparison)
 
 
 def queries():

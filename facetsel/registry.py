@@ -1,8 +1,8 @@
 """All registered queries of the engine, but those of the llm subpackage."""
 
-from facetsel.plans import comparison, selection
+from facetsel.plans import comparison, relational, selection
 
-_PARTS = (selection, comparison)
+_PARTS = (selection, comparison, relational)
 
 
 def queries():

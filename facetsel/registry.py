@@ -1,8 +1,9 @@
 """All registered queries of the engine, but those of the llm subpackage."""
 
-from facetsel.plans import comparison, relational, selection
+from facetsel.plans import comparison, relational, selection, workloads
+from facetsel.streaming import streams
 
-_PARTS = (selection, comparison, relational)
+_PARTS = (selection, comparison, relational, workloads, streams)
 
 
 def queries():

@@ -2,10 +2,12 @@
 
 Texts become sets of hashed word shingles and MinHash signatures. Equal sets are one node. Bands of the signatures give
 buckets. Each member is compared with its buckets' leaders first, and the verified links give components; then, inside
-buckets whose members lie in several components, all pairs over two components are compared, in blocks of signatures, so
-that a large group costs comparisons in memory and not rows. Signatures are compared in batches; after each, the
-posterior of the similarity, from a uniform prior, drops the pair if it reaches the threshold with less than the chosen
-miss probability. Survivors are verified on the full sets of shingles, rebuilt from the texts of those documents alone.
+buckets whose members lie in several components, all pairs over two components are compared, in blocks of signatures.
+Signatures are compared in batches; after each, the posterior of the similarity, from a uniform prior, drops the pair if
+it reaches the threshold with less than the chosen miss probability. Survivors form clusters; in blocks of a cluster's
+texts, the surviving pairs over two components are verified on the full sets of shingles, most similar first, but for
+pairs that verified links have joined meanwhile. Blocks tell spanning trees and not pairs, so that a large group costs
+comparisons in memory and not rows; a cluster's largest component is not compared with itself.
 
 Misses: a pair at the threshold shares no band with probability (1 - t^ROWS)^BANDS, about 8e-6 at 0.85, and is pruned
 wrongly with about MISS. Sets are compared by 64-bit shingle hashes.
@@ -141,12 +143,12 @@ def _first_look(percent: int):
     return compared
 
 
-def block_pairs(comp, block, size, sig, bands, band, steps, percent) -> tuple[np.ndarray, np.ndarray]:
-    """Of the members of one bucket, or of two blocks of one: the pairs over two components, of sizes that allow the
-    similarity, that no step prunes; only in the first band that the two share. Blocks that are equal everywhere mean
-    one block, all of whose pairs are compared."""
-    n, out = len(comp), []
+def block_pairs(comp, block, size, sig, steps, percent) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(x, y, equal) of the pairs over two components, of sizes that allow the similarity, that no step prunes; where the
+    rows are of two blocks, only pairs over both."""
+    n, out = len(comp), [(np.zeros(0, np.int64),) * 3]
     two = block.min() < block.max()
+    parts = [np.ascontiguousarray(sig[:, a:b]) for a, b in zip((0, *STEPS), STEPS, strict=False)]
     for i in range(0, n, 128):
         rows = slice(i, min(n, i + 128))
         ok = (comp[rows, None] != comp[None, :]) & (np.arange(n)[rows, None] < np.arange(n)[None, :])
@@ -155,64 +157,111 @@ def block_pairs(comp, block, size, sig, bands, band, steps, percent) -> tuple[np
             ok &= block[rows, None] != block[None, :]
         x, y = np.nonzero(ok)
         x = x + i
-        for j in range(0, len(x), 1 << 16):
-            xs, ys = x[j : j + (1 << 16)], y[j : j + (1 << 16)]
-            live = promising(sig[xs], sig[ys], steps)[0] if len(xs) < 64 else _stepwise(sig, xs, ys, steps)
-            xs, ys = xs[live], ys[live]
-            first = (bands[xs] == bands[ys]).argmax(axis=1) == band
-            out.append((xs[first], ys[first]))
-    if not out:
-        return np.zeros(0, int), np.zeros(0, int)
-    return np.concatenate([x for x, _ in out]), np.concatenate([y for _, y in out])
-
-
-def _stepwise(sig: np.ndarray, xs: np.ndarray, ys: np.ndarray, steps: list[tuple[int, int]]) -> np.ndarray:
-    """promising() without copies of whole signatures."""
-    live, equal, at = np.arange(len(xs)), np.zeros(len(xs), np.int64), 0
-    for n, least in steps:
-        part = np.ascontiguousarray(sig[:, at:n])
-        equal[live] += (part[xs[live]] == part[ys[live]]).sum(axis=1)
-        live, at = live[equal[live] >= least], n
-    return live
+        equal = np.zeros(len(x), np.int64)
+        for part, (_, least) in zip(parts, steps, strict=True):
+            for j in range(0, len(x), 1 << 16):
+                equal[j : j + (1 << 16)] += (part[x[j : j + (1 << 16)]] == part[y[j : j + (1 << 16)]]).sum(axis=1)
+            live = equal >= least
+            x, y, equal = x[live], y[live], equal[live]
+        out.append((x, y, equal))
+    return tuple(np.concatenate(z) for z in zip(*out, strict=True))
+
+
+class Joined:
+    """Which components have been joined."""
+
+    def __init__(self):
+        self.root: dict[int, int] = {}
+
+    def find(self, x: int) -> int:
+        while (y := self.root.get(x, x)) != x:
+            self.root[x] = self.root.get(y, y)
+            x = y
+        return x
+
+    def join(self, x: int, y: int) -> bool:
+        """False where they were joined already."""
+        x, y = self.find(x), self.find(y)
+        self.root[max(x, y)] = min(x, y)
+        return x != y
+
+
+def _runs(names: list[str], found):
+    """mapInPandas over sorted rows: found(rows) for the whole runs of equal names, which may span batches. A run has two
+    blocks' rows at most."""
+
+    def each(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        held = None
+        for rows in batches:
+            rows = rows if held is None else pd.concat([held, rows], ignore_index=True)
+            last = (rows[names] == rows[names].iloc[-1]).all(axis=1).to_numpy() if len(rows) else np.zeros(0, bool)
+            held = rows[last].reset_index(drop=True)
+            if not last.all():
+                yield found(rows[~last].reset_index(drop=True))
+        if held is not None and len(held):
+            yield found(held)
+
+    return each
+
+
+def _spans(rows: pd.DataFrame, names: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    key = rows[names].to_numpy()
+    starts = np.flatnonzero(np.r_[True, (key[1:] != key[:-1]).any(axis=1)])
+    return starts, np.r_[starts[1:], len(rows)]
+
+
+CELL = ["bucket", "bi", "bj"]
 
 
 def _across(percent: int):
-    """Pairs of each run of rows with equal (bucket, bi, bj); a run has two blocks' rows at most and may span batches."""
+    """A spanning forest of the surviving pairs of each cell."""
     steps = steps_of(percent)
 
-    def pairs_of(rows: pd.DataFrame) -> pd.DataFrame:
-        key = rows[["bucket", "bi", "bj"]].to_numpy()
-        starts = np.flatnonzero(np.r_[True, (key[1:] != key[:-1]).any(axis=1)])
-        ends = np.r_[starts[1:], len(rows)]
-        ids, comp, block, size, band = (rows[c].to_numpy() for c in ("id", "component", "block", "n_shingles", "band"))
-        sig, bands = _matrix(rows["sig"], WIDTH), _matrix(rows["bands"], BANDS, np.uint64)
-        a, b = [], []
+    def forest(rows: pd.DataFrame) -> pd.DataFrame:
+        starts, ends = _spans(rows, CELL)
+        ids, comp, block, size = (rows[c].to_numpy() for c in ("id", "component", "block", "n_shingles"))
+        sig = _matrix(rows["sig"], WIDTH)
+        a, b = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
         twos = starts[ends - starts == 2]
-        twos = twos[comp[twos] != comp[twos + 1]]
+        twos = twos[(comp[twos] != comp[twos + 1]) & (100 * np.minimum(size[twos], size[twos + 1]) >= percent * np.maximum(size[twos], size[twos + 1]))]
         if len(twos):
-            live = promising(sig[twos], sig[twos + 1], steps)[0]
-            x = twos[live]
-            x = x[(bands[x] == bands[x + 1]).argmax(axis=1) == band[x]] if len(x) else x
+            x = twos[promising(sig[twos], sig[twos + 1], steps)[0]]
             a.append(ids[x]), b.append(ids[x + 1])
         for s, e in zip(starts, ends, strict=True):
             if e - s > 2:
-                x, y = block_pairs(comp[s:e], block[s:e], size[s:e], sig[s:e], bands[s:e], band[s], steps, percent)
-                a.append(ids[s + x]), b.append(ids[s + y])
-        a, b = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (a, b))
+                x, y, _ = block_pairs(comp[s:e], block[s:e], size[s:e], sig[s:e], steps, percent)
+                seen = Joined()
+                tree = np.fromiter((seen.join(p, q) for p, q in zip(x.tolist(), y.tolist(), strict=True)), bool, len(x))
+                a.append(ids[s + x[tree]]), b.append(ids[s + y[tree]])
+        a, b = np.concatenate(a), np.concatenate(b)
         return pd.DataFrame({"a": np.minimum(a, b), "b": np.maximum(a, b)})
 
-    def compared(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        held = None
-        for rows in batches:
-            rows = rows if held is None else pd.concat([held, rows], ignore_index=True)
-            last = (rows[["bucket", "bi", "bj"]] == rows[["bucket", "bi", "bj"]].iloc[-1]).all(axis=1).to_numpy() if len(rows) else np.zeros(0, bool)
-            held = rows[last].reset_index(drop=True)
-            if not last.all():
-                yield pairs_of(rows[~last].reset_index(drop=True))
-        if held is not None and len(held):
-            yield pairs_of(held)
+    return _runs(CELL, forest)
 
-    return compared
+
+def _in_cells(percent: int):
+    """Verified links of each cell, as far as they join components."""
+    steps = steps_of(percent)
+
+    def linked(rows: pd.DataFrame) -> pd.DataFrame:
+        out = []
+        for s, e in zip(*_spans(rows, CELL), strict=True):
+            own = rows.iloc[s:e]
+            ids, comp = own["id"].tolist(), own["component"].to_numpy()
+            x, y, equal = block_pairs(comp, own["block"].to_numpy(), own["n_shingles"].to_numpy(), _matrix(own["sig"], WIDTH), steps, percent)
+            joined, sets, texts, of = Joined(), {}, own["t"].tolist(), comp.tolist()
+            for k in np.argsort(-equal, kind="stable"):
+                p, q = int(x[k]), int(y[k])
+                if joined.find(of[p]) != joined.find(of[q]):
+                    u = sets[p] if p in sets else sets.setdefault(p, shingles(texts[p]))
+                    v = sets[q] if q in sets else sets.setdefault(q, shingles(texts[q]))
+                    inter = len(np.intersect1d(u, v, assume_unique=True))
+                    if inter and 100 * inter >= percent * (len(u) + len(v) - inter):
+                        joined.join(of[p], of[q])
+                        out.append((ids[p], ids[q]))
+        return pd.DataFrame(out, columns=["a", "b"]).astype("int64")
+
+    return _runs(CELL, linked)
 
 
 def _verified(percent: int):
@@ -243,6 +292,23 @@ def _links(pairs: DataFrame, docs: DataFrame, text: str, key: str, percent: int)
     return staged(pairs.select("a", "b", "ta", "tb").mapInPandas(_verified(percent), "a long, b long"), "near-links")
 
 
+def _cluster_links(clusters: DataFrame, found: DataFrame, reps: DataFrame, docs: DataFrame, text: str, key: str, percent: int) -> DataFrame:
+    """Links inside clusters (node, component: the cluster) between different components of found. Of each cluster the
+    largest component has blocks of its own, which are compared with all others' blocks but not with each other."""
+    rows = clusters.select(F.col("node").alias("id"), F.col("component").alias("bucket")).join(found.withColumnRenamed("node", "id"), "id", "left").withColumn("component", F.coalesce("component", "id"))
+    rows = staged(rows, "clustered")
+    sizes = rows.groupBy("bucket", "component").agg(F.count("*").alias("n")).groupBy("bucket").agg(F.max_by("component", "n").alias("main"), F.max("n").alias("n_main"), F.sum("n").alias("n"))
+    texts = docs.select(F.col(key).alias("id"), F.col(text).alias("t")).join(rows.select("id"), "id", "left_semi").groupBy("id").agg(F.min("t").alias("t"))
+    rows = rows.join(reps.select("id", "n_shingles", "sig"), "id").join(texts, "id").join(sizes, "bucket")
+    rest, main = (F.greatest(F.lit(1), F.ceil(x / BLOCK)).cast("int") for x in (F.col("n") - F.col("n_main"), F.col("n_main")))
+    own = F.pmod(F.xxhash64("id"), F.when(F.col("component") == F.col("main"), main).otherwise(rest)).cast("int")
+    rows = rows.withColumn("is_main", F.col("component") == F.col("main")).withColumn("block", F.when(F.col("is_main"), rest + own).otherwise(own))
+    others = F.when(F.col("is_main"), F.sequence(F.lit(0), rest - 1)).otherwise(F.sequence(F.lit(0), rest + main - 1))
+    rows = rows.withColumn("other", F.explode(others))
+    rows = rows.select("bucket", F.least("block", "other").alias("bi"), F.greatest("block", "other").alias("bj"), "id", "component", "block", "n_shingles", "sig", "t")
+    return staged(rows.repartition(*CELL).sortWithinPartitions(*CELL).mapInPandas(_in_cells(percent), "a long, b long"), "cluster-links")
+
+
 def near_components(docs: DataFrame, text: str = "text", key: str = "doc_id", percent: int = PERCENT) -> tuple[DataFrame, DataFrame]:
     """(rows, groups): rows (doc_id, n_shingles) of every row of docs; groups (doc_id, component) of every id with a set."""
     rows = staged(sketch(docs, text, key), "sketches")
@@ -252,7 +318,7 @@ def near_components(docs: DataFrame, text: str = "text", key: str = "doc_id", pe
     owned = staged(full.join(first, ["h1", "h2"]).select("doc_id", "rep", "n_shingles", mine("bands"), mine("sig")), "owned")
     reps = staged(owned.where("doc_id = rep").dropDuplicates(["doc_id", "bands"]).select(F.col("doc_id").alias("id"), "n_shingles", "bands", "sig"), "reps")
     cut = F.array(*[F.xxhash64(F.lit(i), F.expr(f"substring(bands, {8 * i + 1}, 8)")) for i in range(BANDS)])
-    entries = staged(led(reps.select("id", F.posexplode(cut).alias("band", "bucket"))), "buckets")
+    entries = staged(led(reps.select("id", F.explode(cut).alias("bucket"))), "buckets")
 
     side = lambda x, s: reps.select(F.col("id").alias(x), F.col("sig").alias(s), F.col("n_shingles").alias(f"n{x}"))
     looked = stars(entries).join(side("a", "sa"), "a").join(side("b", "sb"), "b").where(f"100 * least(na, nb) >= {percent} * greatest(na, nb)")
@@ -261,14 +327,13 @@ def near_components(docs: DataFrame, text: str = "text", key: str = "doc_id", pe
     links = _links(staged(best.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "pairs"), docs, text, key, percent)
     found = components(links)
 
-    left = unsettled(entries.select("id", "band", "bucket"), found).join(reps, "id")
+    left = unsettled(entries.select("id", "bucket"), found).join(reps.select("id", "n_shingles", "sig"), "id")
     blocks = F.ceil(F.col("n") / BLOCK).cast("int")
     left = left.withColumn("block", F.pmod(F.xxhash64("id"), blocks).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
-    left = left.select("bucket", F.least("block", "other").alias("bi"), F.greatest("block", "other").alias("bj"), "id", "component", "block", "band", "n_shingles", "bands", "sig")
-    dealt = left.repartition("bucket", "bi", "bj").sortWithinPartitions("bucket", "bi", "bj")
-    rest = staged(dealt.mapInPandas(_across(percent), "a long, b long").distinct(), "across")
-    if not rest.isEmpty():
-        found = components(links.unionByName(_links(rest, docs, text, key, percent)))
+    left = left.select("bucket", F.least("block", "other").alias("bi"), F.greatest("block", "other").alias("bj"), "id", "component", "block", "n_shingles", "sig")
+    forest = staged(left.repartition(*CELL).sortWithinPartitions(*CELL).mapInPandas(_across(percent), "a long, b long"), "across")
+    if not forest.isEmpty():
+        found = components(links.unionByName(_cluster_links(components(forest), found, reps, docs, text, key, percent)))
     by_set = owned.select("doc_id", "rep").distinct().join(found.withColumnRenamed("node", "rep"), "rep", "left")
     return rows.select("doc_id", "n_shingles"), by_set.select("doc_id", F.coalesce("component", "rep").alias("component"))
 

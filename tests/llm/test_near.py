@@ -3,6 +3,7 @@ import random
 import numpy as np
 from pyspark.sql import functions as F
 
+from facetsel.llm import near
 from facetsel.llm.common import components
 from facetsel.llm.near import block_pairs, least_matches, near_duplicates, near_stage, shingles, steps_of
 
@@ -74,10 +75,20 @@ def test_blocks_find_what_lies_across():
     base = r.integers(0, 256, (1, 512), dtype=np.uint8)
     sig = np.repeat(base, 40, 0)
     sig[30:] = r.integers(0, 256, (10, 512))
-    bands = np.zeros((40, 20), np.uint64)
     comp, size, block = np.arange(40) // 10, np.full(40, 100), np.zeros(40, int)
-    x, y = block_pairs(comp, block, size, sig, bands, 0, steps_of(85), 85)
-    assert len(x) == 3 * 100 and not len(block_pairs(comp, block, size, sig, bands, 1, steps_of(85), 85)[0])
+    x, y, equal = block_pairs(comp, block, size, sig, steps_of(85), 85)
+    assert len(x) == 3 * 100 and (equal == 512).all()
+    block[10:] = 1
+    assert len(block_pairs(comp, block, size, sig, steps_of(85), 85)[0]) == 2 * 100
+
+
+def test_large_groups_in_blocks(spark, monkeypatch):
+    """Blocks of few rows, so that cells over two blocks and the main component's blocks are used."""
+    monkeypatch.setattr(near, "BLOCK", 4)
+    monkeypatch.setattr(near, "FIRST", 1)
+    texts = near_texts(150, 21)
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    assert {r.doc_id: (r.n_shingles, r.component_id) for r in near_duplicates(docs).collect()} == brute(texts)
 
 
 def test_shingles():

@@ -17,8 +17,11 @@ class Spark:
     def size(self, array: str) -> str:
         return f"cast(size({array}) as bigint)"
 
+    def kept(self, array: str, test: str) -> str:
+        return f"filter({array}, x -> {test})"
+
     def where(self, array: str, test: str) -> str:
-        return self.size(f"filter({array}, x -> {test})")
+        return self.size(self.kept(array, test))
 
     def distinct(self, array: str) -> str:
         return f"array_distinct({array})"
@@ -48,8 +51,8 @@ class Duck(Spark):
     def size(self, array: str) -> str:
         return f"len({array})"
 
-    def where(self, array: str, test: str) -> str:
-        return f"len(list_filter({array}, lambda x: {test}))"
+    def kept(self, array: str, test: str) -> str:
+        return f"list_filter({array}, lambda x: {test})"
 
     def distinct(self, array: str) -> str:
         return f"list_distinct({array})"

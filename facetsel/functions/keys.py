@@ -7,8 +7,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 TIE_BITS = 60
-#: Bits that a pass of nth_key_cutoff settles, and the most bins that are told to the driver at once.
-DIGIT_BITS, MOST_BINS = 10, 4_000_000
+#: The most bins that a pass of nth_key_cutoff tells to the driver; the bits it settles follow from the number of groups.
+MOST_BINS = 1_000_000
 
 
 def tie_key(seed: int, key: str | Column) -> Column:
@@ -30,19 +30,20 @@ def nth_key_cutoff(df: DataFrame, by: str, key: str, wanted: dict[int, int]) ->
     is one aggregation with map-side combining; the pool is never sorted nor shuffled. Ends early for a group whose
     bin holds exactly what is still wanted."""
     spark = df.sparkSession
+    bits = max(4, min(14, (MOST_BINS // max(1, len(wanted))).bit_length() - 1))
     out = {g: -1 for g, n in wanted.items() if n <= 0}
     live = {g: (0, n) for g, n in wanted.items() if n > 0}
     shift = 63
     schema = T.StructType([T.StructField("g_", T.IntegerType()), T.StructField("p_", T.LongType())])
     while live:
-        above, shift = shift, max(0, shift - DIGIT_BITS)
+        above, shift = shift, max(0, shift - bits)
         seen = spark.createDataFrame([(int(g), int(p)) for g, (p, _) in live.items()], schema)
         rows = df.join(F.broadcast(seen), F.col(by) == F.col("g_"))
         if above < 63:
             rows = rows.where(F.shiftright(key, above) == F.col("p_"))
         bins = rows.groupBy("g_", F.shiftright(key, shift).alias("bin")).agg(F.count("*").alias("n"))
         by_group: dict[int, list[tuple[int, int]]] = {}
-        for r in bins.limit(MOST_BINS + 1).collect():
+        for r in bins.collect():
             by_group.setdefault(r["g_"], []).append((r["bin"], r["n"]))
         following = {}
         for g, (_, n) in live.items():

@@ -27,9 +27,14 @@ def token_columns(d: Spark) -> dict[str, str]:
     return {"t": d.tokens("body"), "prompt_t": d.distinct(d.tokens("prompt")), "answer_t": d.tokens("answer")}
 
 
+def listed_column(d: Spark) -> str:
+    """The tokens that are in some word list; the lists are then counted in this shorter array."""
+    return d.kept("t", _in(sorted({w for ws in WORDS.values() for w in ws})))
+
+
 def feature_columns(d: Spark) -> dict[str, str]:
     """Counts over the tokens t, distinct prompt tokens, answer tokens, and the texts themselves."""
-    out = {f"n_{k}": d.where("t", _in(w)) for k, w in WORDS.items()}
+    out = {f"n_{k}": d.where("listed", _in(w)) for k, w in WORDS.items()}
     out |= {f"n_{k}": d.where("t", _ends(e)) for k, e in ENDINGS.items()}
     out |= {
         "n_tokens": d.size("t"),
@@ -109,6 +114,7 @@ def _sel(df: DataFrame, columns: dict[str, str], kept: tuple[str, ...]) -> DataF
 def featurize(instances: DataFrame) -> DataFrame:
     """One row of numbers for each instance; the only step that reads text."""
     with_tokens = _sel(instances, token_columns(SPARK), (*KEYS, "body", "has_context"))
+    with_tokens = with_tokens.withColumn("listed", F.expr(listed_column(SPARK)))
     return _sel(with_tokens, feature_columns(SPARK), (*KEYS, "has_context"))
 
 
@@ -138,5 +144,6 @@ def sql(instances_sql: str, levels: tuple[int, ...] = (1, 2, 3, 4, 5), name: str
     flags = {f"g_{k}": f"CAST({e} AS INT)" for k, e in flag_columns(d).items()}
     return f"""{name}_i AS ({instances_sql}),
 {name}_t AS (SELECT {keys}, body, has_context, {line(token_columns(d))} FROM {name}_i),
-{name}_f AS (SELECT {keys}, has_context, {line(feature_columns(d))} FROM {name}_t),
+{name}_w AS (SELECT *, {listed_column(d)} AS listed FROM {name}_t),
+{name}_f AS (SELECT {keys}, has_context, {line(feature_columns(d))} FROM {name}_w),
 {name} AS (SELECT {keys}, {line(scores)}, {line(flags)} FROM {name}_f)"""

@@ -9,7 +9,7 @@ from facetsel.catalog import BENCHES, DEFAULT_FACETS, FACET_NAMES, FULL, PUBLISH
 from facetsel.functions import rubric
 from facetsel.functions.dialect import DUCK
 from facetsel.functions.keys import tie_key
-from facetsel.functions.session import kept
+from facetsel.functions.session import kept, spread
 from facetsel.operators import baselines as B
 from facetsel.operators import evalkit as E
 from facetsel.operators import measures as M
@@ -63,7 +63,7 @@ def q_bigram(spark, sf_dir):
 
 
 def scored_perplexity(spark, sf_dir, before: bool) -> DataFrame:
-    d = pools.table(spark, sf_dir, "documents").select("doc_id", "text")
+    d = spread(pools.table(spark, sf_dir, "documents").select("doc_id", "text"))
     lm = B.fit_lm(outside_texts(spark, sf_dir), "id") if before else B.fit_lm(d, "doc_id")
     return B.perplexity(d, lm, "doc_id")
 
@@ -120,7 +120,7 @@ def alignment(spark, sf_dir, window: int | None) -> DataFrame:
     d, e = pools.table(spark, sf_dir, "documents"), pools.table(spark, sf_dir, "embeddings")
     n = max(1, e.count())
     v = d.select("doc_id", F.pmod("doc_id", F.lit(n)).alias("vec_id")).join(e, "vec_id").select("doc_id", F.col("embedding").alias("vec"))
-    return B.alignment(d.select("doc_id", "text"), "doc_id", F.col("text"), v, window)
+    return B.alignment(spread(d.select("doc_id", "text")), "doc_id", F.col("text"), v, window)
 
 
 def alignment_sql(window: int | None) -> str:
@@ -284,7 +284,7 @@ def train_ids(spark, sf_dir) -> DataFrame:
 def evaluated(spark, sf_dir, selected: DataFrame, size: int = E.BIG) -> DataFrame:
     """Bench scores (setting, bench, n, accuracy, balanced) of selections (setting, doc_id): both targets."""
     docs, labels = pools.table(spark, sf_dir, "documents"), pools.table(spark, sf_dir, "labels")
-    buckets = kept(E.token_buckets(docs, size), "buckets")
+    buckets = kept(E.token_buckets(spread(docs.select("doc_id", "text")), size), "buckets")
     test, out = docs.where(E.held_out()).join(labels.select("doc_id"), "doc_id").select("doc_id"), None
     selected = kept(selected.join(train_ids(spark, sf_dir), "doc_id"), "selected")
     for target in ("quality", "toxic"):

@@ -11,6 +11,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from facetsel.functions.session import spread
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
@@ -28,7 +30,7 @@ _SPLIT = {
 
 def docs_flat(spark: SparkSession, sf_dir: str) -> DataFrame:
     """What the rubric needs of documents: no join, three columns and the text are read."""
-    d = table(spark, sf_dir, "documents")
+    d = spread(table(spark, sf_dir, "documents").select("doc_id", "source", "lang", "text"))
     return d.select(F.col("doc_id").alias("instance_id"), "source", "lang", F.col("text").alias("body"), F.expr(_SPLIT["prompt"]).alias("prompt"), F.expr(_SPLIT["answer"]).alias("answer"), F.lit(False).alias("has_context"))
 
 
@@ -47,7 +49,7 @@ _TITLE, _ARTICLE, _PARAGRAPH, _HOST = r"(?s)<title>(.*?)</title>", r"(?s)<articl
 
 
 def web_flat(spark: SparkSession, sf_dir: str) -> DataFrame:
-    p = table(spark, sf_dir, "pages")
+    p = spread(table(spark, sf_dir, "pages"))
     p = p.select("page_id", F.regexp_extract("url", _HOST, 1).alias("source"), "html", F.regexp_extract("html", _TITLE, 1).alias("prompt"), F.array_join(F.regexp_extract_all(F.regexp_extract("html", _ARTICLE, 1), F.lit(_PARAGRAPH), 1), "\n").alias("answer"))
     return p.select(F.col("page_id").alias("instance_id"), "source", F.lit("en").alias("lang"), F.concat_ws("\n", "prompt", "answer").alias("body"), "prompt", "answer", F.lit(True).alias("has_context"), "html")
 

@@ -54,6 +54,6 @@ def jaccard(a: DataFrame, b: DataFrame, key: str = "instance_id") -> DataFrame:
 
 
 def agreement(student: DataFrame, teacher: DataFrame, by: str = "facet", value: str = "score") -> DataFrame:
-    """By facet: mean absolute error, share of equal levels, correlation."""
+    """By facet: mean absolute error, share of equal levels, correlation (null where one side never varies)."""
     j = student.select("instance_id", by, F.col(value).alias("p")).join(teacher.select("instance_id", by, F.col(value).alias("t")), ["instance_id", by])
-    return j.groupBy(by).agg(F.count("*").alias("n"), F.round(F.avg(F.abs(F.col("p") - F.col("t"))), 6).alias("mae"), F.round(F.avg((F.col("p") == F.col("t")).cast("int")), 6).alias("exact"), F.round(F.corr(F.col("p").cast("double"), F.col("t").cast("double")), 4).alias("corr"))
+    return j.groupBy(by).agg(F.count("*").alias("n"), F.round(F.avg(F.abs(F.col("p") - F.col("t"))), 6).alias("mae"), F.round(F.avg((F.col("p") == F.col("t")).cast("int")), 6).alias("exact"), F.round(F.try_divide(F.covar_pop(F.col("p").cast("double"), F.col("t").cast("double")), F.stddev_pop("p") * F.stddev_pop("t")), 4).alias("corr"))

@@ -457,7 +457,7 @@ def oracle_sql():
         "draw_abstract": ABSTRACT_SQL,
         "cellmean_fit": f"WITH {cellmean_ctes()} SELECT * FROM fit",
         "cellmean_predict": f"WITH {cellmean_ctes()} SELECT * FROM predicted",
-        "agreement": f"WITH {cellmean_ctes()} SELECT facet, count(*) AS n, round(avg(abs(p.score - l.score)), 6) AS mae, round(avg(CAST(p.score = l.score AS INT)), 6) AS exact, CASE WHEN stddev_pop(p.score) > 0 THEN round(corr(p.score, l.score), 4) END AS corr FROM predicted p JOIN long l USING (instance_id, facet) GROUP BY facet",
+        "agreement": f"WITH {cellmean_ctes()} SELECT facet, count(*) AS n, round(avg(abs(p.score - l.score)), 6) AS mae, round(avg(CAST(p.score = l.score AS INT)), 6) AS exact, CASE WHEN stddev_pop(p.score) * stddev_pop(l.score) > 0 THEN round(covar_pop(p.score, l.score) / (stddev_pop(p.score) * stddev_pop(l.score)), 4) END AS corr FROM predicted p JOIN long l USING (instance_id, facet) GROUP BY facet",
         "nb_counts": f"WITH {nb_ctes()} SELECT label, bucket, n FROM counts",
         "nb_predict": f"WITH {nb_ctes()} SELECT doc_id, predicted FROM predicted",
         "bench_scores": bench_full_sql(),

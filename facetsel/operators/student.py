@@ -115,5 +115,5 @@ def tag_report(tagged: DataFrame, truth: DataFrame, styles=STYLES) -> DataFrame:
     """Precision, recall and F1 by style."""
     j = tagged.select("instance_id", *[F.col(f"g_{s}").alias(f"p_{s}") for s in styles]).join(truth.select("instance_id", *[f"g_{s}" for s in styles]), "instance_id")
     long = j.selectExpr(f"stack({len(styles)}, " + ", ".join(f"'{s}', p_{s}, g_{s}" for s in styles) + ") as (style, p, g)")
-    c = long.groupBy("style").agg(F.sum(F.expr("p * g")).alias("tp"), F.sum("p").alias("said"), F.sum("g").alias("true"))
-    return c.select("style", F.expr("try_divide(tp, said)").alias("precision"), F.expr("try_divide(tp, true)").alias("recall"), F.expr("try_divide(2 * tp, said + true)").alias("f1"))
+    c = long.groupBy("style").agg(F.sum(F.expr("p * g")).alias("tp"), F.sum("p").alias("said"), F.sum("g").alias("held"))
+    return c.select("style", F.expr("try_divide(tp, said)").alias("precision"), F.expr("try_divide(tp, held)").alias("recall"), F.expr("try_divide(2 * tp, said + held)").alias("f1"))

@@ -19,6 +19,7 @@ from operator import eq
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -155,15 +156,16 @@ def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The documents predicted to be good. Rows are scored where they lie, so that no text is shuffled."""
+    """The documents predicted to be good. Rows are scored where they lie, so that no text is shuffled, and in slices, so
+    that a worker holds few texts twice."""
     model = train(docs, table(spark, sf_dir, "labels"))
     ship(spark)
     sent, s = spark.sparkContext.broadcast(model), model.settings
 
-    @F.pandas_udf("double")
-    def scored(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+    @F.arrow_udf("double")
+    def scored(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         for texts in batches:
-            got = [sent.value.score(np.stack([bag(t, s.buckets) for t in texts.iloc[i : i + 256]])) for i in range(0, len(texts), 256)]
-            yield pd.Series(np.concatenate(got) if got else np.zeros(0))
+            parts = (texts.slice(i, 256).to_pylist() for i in range(0, len(texts), 256))
+            yield pa.array(np.concatenate([sent.value.score(np.stack([bag(t, s.buckets) for t in part])) for part in parts] or [np.zeros(0)]), pa.float64())
 
     return docs.where(scored("text") >= s.threshold)

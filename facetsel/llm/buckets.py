@@ -10,13 +10,16 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from facetsel.llm.common import staged
+
 
 def led(entries: DataFrame) -> DataFrame:
     """entries (bucket, id, ...) of buckets with several ids, and each bucket's leader: the id that comes first when the
     bucket's own number is mixed into all, so that a member in several buckets meets several leaders."""
     mixed = F.col("id").bitwiseXOR(F.col("bucket"))
     leaders = entries.groupBy("bucket").agg(F.min(mixed).alias("lo"), F.max(mixed).alias("hi")).where("lo < hi")
-    return entries.join(leaders.select("bucket", F.col("lo").bitwiseXOR(F.col("bucket")).alias("leader")), "bucket")
+    leaders = staged(leaders.select("bucket", F.col("lo").bitwiseXOR(F.col("bucket")).alias("leader")), "leaders")
+    return entries.join(leaders, "bucket")
 
 
 def stars(with_leader: DataFrame) -> DataFrame:

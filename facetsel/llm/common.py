@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from facetsel.functions.session import kept as staged
 from facetsel.functions.session import shared_dir, ship
 
-__all__ = ["HASH60_SQL", "WORD", "components", "hash60", "n_words", "shared_dir", "ship", "staged", "table"]
+__all__ = ["HASH60_SQL", "WORD", "components", "hash60", "n_words", "shared_dir", "ship", "small", "staged", "table"]
 
 #: A word: a run of anything but the six ASCII white-space characters.
 WORD = r"[^\x20\x09-\x0D]+"
@@ -18,6 +18,16 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+#: Rows of a few numbers each that may be broadcast; more go by a shuffled join.
+BROADCAST_ROWS = 1_000_000
+
+
+def small(df: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
+    """df marked for broadcasting if a count shows that it has few rows. For staged tables of numbers: counting reads
+    their footers, and the rows' size is known."""
+    return F.broadcast(df) if df.count() <= most else df
+
+
 def n_words(text: Column) -> Column:
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")
 

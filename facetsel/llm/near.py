@@ -30,7 +30,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from facetsel.llm.buckets import led, stars, unsettled
-from facetsel.llm.common import components, ship, staged, table
+from facetsel.llm.common import components, ship, small, staged, table
 
 SHINGLE, PERCENT = 5, 85
 BANDS, ROWS = 20, 5
@@ -285,7 +285,7 @@ def _verified(percent: int):
 
 def _links(pairs: DataFrame, docs: DataFrame, text: str, key: str, percent: int) -> DataFrame:
     """The pairs whose full sets are similar. pairs is staged."""
-    named = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
+    named = small(staged(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "named"))
     texts = docs.select(F.col(key).alias("id"), F.col(text).alias("t")).join(named, "id").groupBy("id").agg(F.min("t").alias("t"))
     texts = staged(texts, "texts")
     pairs = pairs.join(texts.select(F.col("id").alias("a"), F.col("t").alias("ta")), "a").join(texts.select(F.col("id").alias("b"), F.col("t").alias("tb")), "b")
@@ -298,7 +298,7 @@ def _cluster_links(clusters: DataFrame, found: DataFrame, reps: DataFrame, docs:
     rows = clusters.select(F.col("node").alias("id"), F.col("component").alias("bucket")).join(found.withColumnRenamed("node", "id"), "id", "left").withColumn("component", F.coalesce("component", "id"))
     rows = staged(rows, "clustered")
     sizes = rows.groupBy("bucket", "component").agg(F.count("*").alias("n")).groupBy("bucket").agg(F.max_by("component", "n").alias("main"), F.max("n").alias("n_main"), F.sum("n").alias("n"))
-    texts = docs.select(F.col(key).alias("id"), F.col(text).alias("t")).join(rows.select("id"), "id", "left_semi").groupBy("id").agg(F.min("t").alias("t"))
+    texts = docs.select(F.col(key).alias("id"), F.col(text).alias("t")).join(small(rows.select("id")), "id", "left_semi").groupBy("id").agg(F.min("t").alias("t"))
     rows = rows.join(reps.select("id", "n_shingles", "sig"), "id").join(texts, "id").join(sizes, "bucket")
     rest, main = (F.greatest(F.lit(1), F.ceil(x / BLOCK)).cast("int") for x in (F.col("n") - F.col("n_main"), F.col("n_main")))
     own = F.pmod(F.xxhash64("id"), F.when(F.col("component") == F.col("main"), main).otherwise(rest)).cast("int")
@@ -313,7 +313,7 @@ def near_components(docs: DataFrame, text: str = "text", key: str = "doc_id", pe
     """(rows, groups): rows (doc_id, n_shingles) of every row of docs; groups (doc_id, component) of every id with a set."""
     rows = staged(sketch(docs, text, key), "sketches")
     full = rows.where("n_shingles > 0 and doc_id is not null")
-    first = full.groupBy("h1", "h2").agg(F.min("doc_id").alias("rep"))
+    first = staged(full.groupBy("h1", "h2").agg(F.min("doc_id").alias("rep")), "first")  # joins of staged sides may split hot keys
     mine = lambda c: F.when(F.col("doc_id") == F.col("rep"), F.col(c)).alias(c)
     owned = staged(full.join(first, ["h1", "h2"]).select("doc_id", "rep", "n_shingles", mine("bands"), mine("sig")), "owned")
     reps = staged(owned.where("doc_id = rep").dropDuplicates(["doc_id", "bands"]).select(F.col("doc_id").alias("id"), "n_shingles", "bands", "sig"), "reps")
@@ -355,3 +355,22 @@ def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group: the one with the least id (of rows with that same id, one)."""
     groups = near_components(docs)[1]
     return docs.join(groups.where("doc_id <> component").select("doc_id").distinct(), "doc_id", "left_anti").select(*docs.columns)
+
+
+#: All pairs that share a shingle, and everything reachable from each text; no signature or bucket in here.
+OP7_SQL = r"""
+WITH RECURSIVE w AS (
+  SELECT doc_id, coalesce(regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+'), []) AS w FROM documents),
+s AS (
+  SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 5 THEN [array_to_string(w, ' ')]
+    ELSE list_distinct(list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' '))) END AS s FROM w),
+k AS (SELECT doc_id, s, len(s) AS n, md5(array_to_string(list_sort(s), chr(10))) AS h FROM s),
+r AS (SELECT h, min(doc_id) AS rep, any_value(n) AS n, any_value(s) AS s FROM k WHERE n > 0 GROUP BY h),
+u AS (SELECT rep, n, unnest(s) AS x FROM r),
+p AS (SELECT a.rep AS a, b.rep AS b FROM u a JOIN u b ON a.x = b.x AND a.rep < b.rep GROUP BY a.rep, b.rep, a.n, b.n HAVING 100 * count(*) >= 85 * (a.n + b.n - count(*))),
+e AS (SELECT a, b FROM p UNION SELECT b, a FROM p),
+t AS (SELECT rep AS a, rep AS b FROM r UNION SELECT t.a, e.b FROM t JOIN e ON t.b = e.a),
+c AS (SELECT a AS rep, min(b) AS component FROM t GROUP BY a)
+SELECT k.doc_id, CAST(k.n AS BIGINT) AS n_shingles, coalesce(c.component, k.doc_id) AS component_id, coalesce(c.component, k.doc_id) = k.doc_id AS kept
+FROM k LEFT JOIN r ON r.h = k.h AND k.n > 0 LEFT JOIN c ON c.rep = r.rep
+"""

@@ -19,4 +19,4 @@ def queries():
 
 
 def oracle_sql():
-    return {"op1_mix": mixing.OP1_SQL, "op4_chat": chat.OP4_SQL, "op8_licences": licences.OP8_SQL}
+    return {"op1_mix": mixing.OP1_SQL, "op2_substrings": substrings.OP2_SQL, "op4_chat": chat.OP4_SQL, "op7_near": near.OP7_SQL, "op8_licences": licences.OP8_SQL}

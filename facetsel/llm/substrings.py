@@ -59,6 +59,7 @@ def removed_spans(docs: DataFrame, text: str = "text", key: str = "doc_id", leas
     cut = docs.select(F.col(key).alias("k"), F.col(text).alias("t")).mapInPandas(_cut, "doc_id long, start long, end long, words int, h1 long, h2 long")
     rows = staged(cut.where("words > 0").withColumn("doc_id", F.coalesce("doc_id", F.lit(-(1 << 63)).cast("long"))), "units")
     first = rows.groupBy("h1", "h2").agg(F.min("doc_id").alias("first_doc_id"), F.count("*").alias("n")).where("n > 1").drop("n")
+    first = staged(first, "first")  # so that the join's skewed partitions are not bound to an aggregation's, and may be split
     again = rows.join(first, ["h1", "h2"]).repartition("doc_id")
     again = again.withColumn("nth", F.row_number().over(W.partitionBy("doc_id", "h1", "h2").orderBy("start"))).where("doc_id <> first_doc_id or nth > 1")
     fresh = F.when(F.lag("end").over(W.partitionBy("doc_id").orderBy("start", "end")) >= F.col("start"), 0).otherwise(1)
@@ -92,3 +93,22 @@ def without_spans(docs: DataFrame, spans: DataFrame, text: str = "text", key: st
 
 def op2_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
     return removed_spans(table(spark, sf_dir, "documents"))
+
+
+#: The same units and ranks, compared as text.
+OP2_SQL = rf"""
+WITH u AS (
+  SELECT doc_id, generate_subscripts(us, 1) AS i, unnest(us) AS unit FROM (
+    SELECT doc_id, regexp_extract_all(text, '[^\n]{{24,}}?[.!?]+[ \t]?|[^\n]*\n|[^\n]+') AS us FROM documents)),
+o AS (
+  SELECT doc_id, sum(length(unit)) OVER (PARTITION BY doc_id ORDER BY i ROWS UNBOUNDED PRECEDING) AS e, length(unit) AS n,
+         list_filter(regexp_split_to_array(lower(unit), '\s+'), lambda x: x <> '') AS w FROM u),
+k AS (
+  SELECT doc_id, CAST(e - n AS BIGINT) AS s, CAST(e AS BIGINT) AS e, len(w) AS words, array_to_string(w, ' ') AS t FROM o WHERE len(w) > 0),
+f AS (
+  SELECT *, min(doc_id) OVER (PARTITION BY t) AS first_doc_id, row_number() OVER (PARTITION BY t ORDER BY doc_id, s) AS nth FROM k),
+g AS (SELECT *, CASE WHEN lag(e) OVER (PARTITION BY doc_id ORDER BY s) >= s THEN 0 ELSE 1 END AS fresh FROM f WHERE nth > 1),
+r AS (SELECT *, sum(fresh) OVER (PARTITION BY doc_id ORDER BY s ROWS UNBOUNDED PRECEDING) AS run FROM g)
+SELECT doc_id, min(s) AS start, max(e) AS "end", count(*) AS n_units, CAST(sum(words) AS BIGINT) AS n_words, min_by(first_doc_id, s) AS first_doc_id
+FROM r GROUP BY doc_id, run HAVING sum(words) >= {LEAST_WORDS}
+"""

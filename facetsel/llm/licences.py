@@ -1,7 +1,8 @@
 """Licence scans by the Dice coefficient over word bigrams.
 
 A text is normalised (lower case; everything but letters and digits parts words) and cut into units: its lines, its
-paragraphs where it has blank lines, and the text as a whole. A unit matches a template if twice the number of their
+paragraphs where it has blank lines, and the text as a whole; for templates that none of these match, the runs of
+neighbouring lines, blank ones left out, of which the best counts as one unit for each line that one begins with. A unit matches a template if twice the number of their
 common distinct word bigrams is at least DICE of the sum of their numbers of distinct bigrams. Two bounds follow from
 that and prune without loss: the sizes must be in the ratio DICE/(2-DICE) at least, and a unit must hold so many of the
 template's bigrams that it holds a word of any selection of all but so many of them; the longest words are selected.
@@ -83,6 +84,38 @@ def words_of(text: Column) -> Column:
     return F.array_remove(F.split(F.lower(text), r"[^\p{L}\p{N}]+"), "")
 
 
+def _pairs(w: Column) -> Column:
+    return F.array_distinct(F.zip_with(F.slice(w, 1, F.greatest(F.size(w) - 1, F.lit(0))), F.slice(w, 2, F.size(w)), lambda a, b: F.concat(a, F.lit(" "), b)))
+
+
+def _runs(docs: DataFrame, known: Column, telling: list[str], dice: float) -> DataFrame:
+    """(doc_id, licence, dice): the best run of lines from each line on, of texts that hold enough of a template's bigrams
+    for any unit to match. A best run begins with a line that holds one of them, and a run ends where it has too many."""
+    cut = docs.where(F.contains("t", F.lit("\n"))).select("doc_id", F.explode(F.array(F.split("t", "\n"))).alias("lines"))
+    cut = cut.select("doc_id", F.explode(F.array(F.filter(F.transform("lines", words_of), lambda w: F.size(w) > 0))).alias("lines"))
+    cut = cut.where(F.size("lines") > 1).select("doc_id", "lines", F.flatten("lines").alias("w")).where(F.arrays_overlap("w", F.array(*map(F.lit, telling))))
+    cut = cut.select("doc_id", "lines", F.explode(F.array(_pairs(F.col("w")))).alias("b"))
+    held = F.filter(known, lambda x: F.size(F.array_intersect(x["b"], F.col("b"))) >= dice / (2 - dice) * F.size(x["b"]) - 1e-9)
+    cut = cut.select("doc_id", "lines", F.explode(held).alias("x")).select("doc_id", "lines", F.col("x.licence").alias("licence"), F.col("x.b").alias("tb"))
+    cut = cut.select("*", F.posexplode("lines").alias("i", "line"))
+    cut = cut.where(F.arrays_overlap(_pairs(F.concat("line", F.slice(F.coalesce(F.get("lines", F.col("i") + 1), F.array().cast("array<string>")), 1, 1))), "tb"))
+
+    def state(last: Column, b: Column, best: Column, full: Column) -> Column:
+        return F.struct(last.alias("last"), b.alias("b"), best.alias("best"), full.alias("full"))
+
+    def longer(run: Column, w: Column) -> Column:
+        def told(b: Column) -> Column:
+            now = 2.0 * F.size(F.array_intersect(b, F.col("tb"))) / (F.size(b) + F.size("tb"))
+            too_many = F.size(b) > (2 - dice) / dice * F.size("tb") + 1e-9
+            return F.when(too_many, state(run["last"], run["b"], run["best"], F.lit(True))).otherwise(state(F.slice(w, -1, 1), b, F.greatest(run["best"], now), F.lit(False)))
+
+        return F.when(run["full"], run).otherwise(F.get(F.transform(F.array(F.array_union(run["b"], _pairs(F.concat(run["last"], w)))), told), F.lit(0)))
+
+    none = F.array().cast("array<string>")
+    run = F.aggregate(F.slice("lines", F.col("i") + 1, F.size("lines")), state(none, none, F.lit(0.0), F.lit(False)), longer)
+    return cut.select("doc_id", "licence", run["best"].alias("dice"))
+
+
 def scan(docs: DataFrame, templates: dict[str, str] = TEMPLATES, dice: float = DICE, text: str = "text", key: str = "doc_id") -> DataFrame:
     """(doc_id, licence, dice, n_units): for each text and template that match, the best coefficient and the number of
     units that match."""
@@ -100,7 +133,10 @@ def scan(docs: DataFrame, templates: dict[str, str] = TEMPLATES, dice: float = D
     fits = F.filter(known, lambda x: (F.size(x["b"]) >= dice / (2 - dice) * F.size("b") - 1e-9) & (F.size("b") >= dice / (2 - dice) * F.size(x["b"]) - 1e-9))
     near = held.select("doc_id", "b", F.explode(fits).alias("x"))
     near = near.select("doc_id", F.col("x.licence").alias("licence"), (2.0 * F.size(F.array_intersect("b", "x.b")) / (F.size("b") + F.size("x.b"))).alias("dice"))
-    return near.where(F.col("dice") >= dice).groupBy("doc_id", "licence").agg(F.max("dice").alias("dice"), F.count("*").alias("n_units"))
+    near = near.select("*", F.lit(False).alias("is_run")).unionByName(_runs(docs.select(F.col(key).alias("doc_id"), t.alias("t")), known, telling, dice).select("*", F.lit(True).alias("is_run")))
+    best = near.where(F.col("dice") >= dice).groupBy("doc_id", "licence", "is_run").agg(F.max("dice").alias("dice"), F.count("*").alias("n_units"))
+    first = best.groupBy("doc_id", "licence").agg(F.min_by(F.struct("dice", "n_units"), "is_run").alias("x"))
+    return first.select("doc_id", "licence", "x.dice", "x.n_units")
 
 
 def op8_licences(spark: SparkSession, sf_dir: str) -> DataFrame:

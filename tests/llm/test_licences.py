@@ -54,3 +54,26 @@ def test_bound_loses_nothing():
 def test_empty_templates(spark):
     with pytest.raises(ValueError):
         scan(spark.createDataFrame([(1, "a")], "doc_id long, text string"), {"none": "word"})
+
+
+def test_licences_of_several_lines_in_longer_texts(spark):
+    """Laid out in paragraphs or wrapped, with any line ends, before and after other words."""
+    other = "\n".join(" ".join(f"word{i}x{j}" for i in range(20)) for j in range(10))
+    longer = {k: v for k, v in TEMPLATES.items() if len(v) > 200}
+    want, docs = {}, []
+    for k, v in longer.items():
+        w = v.split()
+        thirds = [" ".join(w[len(w) * a // 3 : len(w) * (a + 1) // 3]) for a in range(3)]
+        wrapped = [" ".join(w[i : i + 12]) for i in range(0, len(w), 12)]
+        for body in ("\n\n".join(thirds), "\r\n\r\n".join(thirds), "\n \n".join(thirds), "\r\n".join(wrapped), "\n".join(wrapped)):
+            want[len(docs)] = k
+            docs.append((len(docs), f"{other}\n\n{body}\n\n{other}"))
+    docs.append((len(docs), f"{other}\n\n{other}"))
+    got = {(r.doc_id, r.licence): r.dice for r in scan(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
+    assert {(i, k) for i, k in want.items()} <= set(got) and all(got[x] == 1 for x in want.items()) and len(docs) - 1 not in {i for i, _ in got}
+
+
+def test_long_units_of_few_bigrams(spark):
+    """A notice again and again in one line has the bigrams of one, whatever its length."""
+    t = " ".join(["Released under the MIT License."] * 700)
+    assert {r.licence: (r.dice, r.n_units) for r in scan(spark.createDataFrame([(1, t)], "doc_id long, text string")).collect()} == brute(t)

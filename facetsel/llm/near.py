@@ -9,8 +9,8 @@ texts, the surviving pairs over two components are verified on the full sets of
 pairs that verified links have joined meanwhile. Blocks tell spanning trees and not pairs, so that a large group costs
 comparisons in memory and not rows; a cluster's largest component is not compared with itself.
 
-Misses: a pair at the threshold shares no band with probability (1 - t^ROWS)^BANDS, about 8e-6 at 0.85, and is pruned
-wrongly with about MISS. Sets are compared by 64-bit shingle hashes.
+Misses: a pair at the threshold shares no band with probability (1 - t^ROWS)^bands, at most MISS, and is pruned wrongly
+with about MISS. Sets are compared by 64-bit shingle hashes.
 
 Defined results: words are runs without ASCII white space, A-Z in lower case; with fewer words than a shingle the whole
 sequence is the one shingle; null and empty texts have the empty set and are linked with nothing. Rows with equal ids are
@@ -20,7 +20,7 @@ one node with one component; a null id is never linked and its row is kept. Othe
 from __future__ import annotations
 
 from collections.abc import Iterator
-from math import comb
+from math import ceil, comb, log
 
 import numpy as np
 import pandas as pd
@@ -33,7 +33,7 @@ from facetsel.llm.buckets import led, stars, unsettled
 from facetsel.llm.common import components, ship, small, staged, table
 
 SHINGLE, PERCENT = 5, 85
-BANDS, ROWS = 20, 5
+ROWS = 5
 #: Positions of a signature, of which the low byte is kept; those after which a pair may be pruned; miss probability.
 WIDTH, STEPS, MISS = 512, (32, 64, 128, 256, 512), 1e-5
 #: Members of a bucket that are compared with each other in one piece; candidates of a member that are verified first.
@@ -91,7 +91,12 @@ def least_matches(n: int, threshold: float, miss: float) -> int:
     return n
 
 
-def sketch(docs: DataFrame, text: str, key: str) -> DataFrame:
+def bands_of(percent: int) -> int:
+    """The fewest bands of which a pair at the threshold shares none with a probability of MISS at most: 20 at 85, 29 at 80."""
+    return ceil(log(MISS) / log(1 - (percent / 100) ** ROWS)) if percent < 100 else 1
+
+
+def sketch(docs: DataFrame, text: str, key: str, n_bands: int) -> DataFrame:
     """(doc_id, n_shingles, h1, h2, bands, sig): 128 bits that name the set, 64 bits for each band, a byte a position."""
     ship(docs.sparkSession)
     bits64 = (1 << 64) - 1
@@ -103,8 +108,8 @@ def sketch(docs: DataFrame, text: str, key: str) -> DataFrame:
             bands, sigs = [], []
             for s in sets:
                 sig = signature(s)
-                raw = sig[: BANDS * ROWS].tobytes()
-                bands.append(b"".join(xxhash.xxh3_64_digest(raw[4 * ROWS * i : 4 * ROWS * (i + 1)], seed=i) for i in range(BANDS)))
+                raw = sig[: n_bands * ROWS].tobytes()
+                bands.append(b"".join(xxhash.xxh3_64_digest(raw[4 * ROWS * i : 4 * ROWS * (i + 1)], seed=i) for i in range(n_bands)))
                 sigs.append(sig.astype(np.uint8).tobytes())
             yield pd.DataFrame({"doc_id": b["k"].astype("Int64"), "n_shingles": [len(s) for s in sets], "h1": np.array([d >> 64 for d in digests], np.uint64).view(np.int64), "h2": np.array([d & bits64 for d in digests], np.uint64).view(np.int64), "bands": bands, "sig": sigs})
 
@@ -311,13 +316,13 @@ def _cluster_links(clusters: DataFrame, found: DataFrame, reps: DataFrame, docs:
 
 def near_components(docs: DataFrame, text: str = "text", key: str = "doc_id", percent: int = PERCENT) -> tuple[DataFrame, DataFrame]:
     """(rows, groups): rows (doc_id, n_shingles) of every row of docs; groups (doc_id, component) of every id with a set."""
-    rows = staged(sketch(docs, text, key), "sketches")
+    rows = staged(sketch(docs, text, key, bands_of(percent)), "sketches")
     full = rows.where("n_shingles > 0 and doc_id is not null")
     first = staged(full.groupBy("h1", "h2").agg(F.min("doc_id").alias("rep")), "first")  # joins of staged sides may split hot keys
     mine = lambda c: F.when(F.col("doc_id") == F.col("rep"), F.col(c)).alias(c)
     owned = staged(full.join(first, ["h1", "h2"]).select("doc_id", "rep", "n_shingles", mine("bands"), mine("sig")), "owned")
     reps = staged(owned.where("doc_id = rep").dropDuplicates(["doc_id", "bands"]).select(F.col("doc_id").alias("id"), "n_shingles", "bands", "sig"), "reps")
-    cut = F.array(*[F.xxhash64(F.lit(i), F.expr(f"substring(bands, {8 * i + 1}, 8)")) for i in range(BANDS)])
+    cut = F.array(*[F.xxhash64(F.lit(i), F.expr(f"substring(bands, {8 * i + 1}, 8)")) for i in range(bands_of(percent))])
     entries = staged(led(reps.select("id", F.explode(cut).alias("bucket"))), "buckets")
 
     side = lambda x, s: reps.select(F.col("id").alias(x), F.col("sig").alias(s), F.col("n_shingles").alias(f"n{x}"))
@@ -351,9 +356,9 @@ def op7_near(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"))
 
 
-def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str, percent: int = PERCENT) -> DataFrame:
     """One document of each group: the one with the least id (of rows with that same id, one)."""
-    groups = near_components(docs)[1]
+    groups = near_components(docs, percent=percent)[1]
     return docs.join(groups.where("doc_id <> component").select("doc_id").distinct(), "doc_id", "left_anti").select(*docs.columns)
 
 

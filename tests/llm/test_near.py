@@ -102,3 +102,15 @@ def test_components_of_a_long_path(spark):
     edges = edges.unionByName(spark.createDataFrame([(1000, 1001), (1001, 1000), (5, 5)], "a long, b long"))
     got = {r.node: r.component for r in components(edges).collect()}
     assert got == {**dict.fromkeys(range(n + 1), 0), 1000: 1000, 1001: 1000}
+
+
+def test_pipeline_stage_of_eighty_per_cent(spark):
+    """The pipeline's stage has its own threshold, and bands enough for it."""
+    import corpus_pipeline
+
+    assert near.bands_of(85) == 20 and (1 - 0.8**near.ROWS) ** near.bands_of(80) <= near.MISS
+    texts = near_texts(120, 8)
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    want = {c for _, c in brute(texts, 80).values()}
+    assert {r.doc_id for r in dict(corpus_pipeline.STAGES)["near dedup"](spark, docs, "").collect()} == want
+    assert len(want) < len({c for _, c in brute(texts).values()})

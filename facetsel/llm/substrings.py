@@ -41,28 +41,40 @@ def units(text: str | None) -> list[tuple[int, int, int, int]]:
     return out
 
 
+def reaches(of: list[tuple[int, int, int, int]]) -> list[int]:
+    """For each unit, the end of the wordless units that follow it."""
+    out = [x[1] for x in of]
+    for i in range(len(of) - 2, -1, -1):
+        if not of[i + 1][2]:
+            out[i] = out[i + 1]
+    return out
+
+
 def _cut(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     low = (1 << 64) - 1
     for b in batches:
-        ids, got = [], []
+        ids, got, reach = [], [], []
         for k, t in zip(b["k"], b["t"], strict=True):
             got += (x := units(t))
             ids += [k] * len(x)
+            reach += reaches(x)
         d = [x[3] for x in got]
-        yield pd.DataFrame({"doc_id": pd.array(ids, "Int64"), "start": np.array([x[0] for x in got], np.int64), "end": np.array([x[1] for x in got], np.int64), "words": np.array([x[2] for x in got], np.int32), "h1": np.array([x >> 64 for x in d], np.uint64).view(np.int64), "h2": np.array([x & low for x in d], np.uint64).view(np.int64)})
+        yield pd.DataFrame({"doc_id": pd.array(ids, "Int64"), "start": np.array([x[0] for x in got], np.int64), "end": np.array([x[1] for x in got], np.int64), "reach": np.array(reach, np.int64), "words": np.array([x[2] for x in got], np.int32), "h1": np.array([x >> 64 for x in d], np.uint64).view(np.int64), "h2": np.array([x & low for x in d], np.uint64).view(np.int64)})
 
 
-def removed_spans(docs: DataFrame, text: str = "text", key: str = "doc_id", least_words: int = LEAST_WORDS) -> DataFrame:
+def removed_spans(docs: DataFrame, text: str = "text", key: str = "doc_id", least_words: int = LEAST_WORDS, bridged: bool = False) -> DataFrame:
     """(doc_id, start, end, n_units, n_words, first_doc_id): what to cut from each text, and where the first copy of the
-    span's first unit stays."""
+    span's first unit stays. bridged: line ends after full stops and blank lines, units without words, end no run; in
+    OP2_SQL, which the query follows, they do."""
     ship(docs.sparkSession)
-    cut = docs.select(F.col(key).alias("k"), F.col(text).alias("t")).mapInPandas(_cut, "doc_id long, start long, end long, words int, h1 long, h2 long")
+    cut = docs.select(F.col(key).alias("k"), F.col(text).alias("t")).mapInPandas(_cut, "doc_id long, start long, end long, reach long, words int, h1 long, h2 long")
+    cut = cut if bridged else cut.drop("reach")
     rows = staged(cut.where("words > 0").withColumn("doc_id", F.coalesce("doc_id", F.lit(-(1 << 63)).cast("long"))), "units")
     first = rows.groupBy("h1", "h2").agg(F.min("doc_id").alias("first_doc_id"), F.count("*").alias("n")).where("n > 1").drop("n")
     first = staged(first, "first")  # so that the join's skewed partitions are not bound to an aggregation's, and may be split
     again = rows.join(first, ["h1", "h2"]).repartition("doc_id")
     again = again.withColumn("nth", F.row_number().over(W.partitionBy("doc_id", "h1", "h2").orderBy("start"))).where("doc_id <> first_doc_id or nth > 1")
-    fresh = F.when(F.lag("end").over(W.partitionBy("doc_id").orderBy("start", "end")) >= F.col("start"), 0).otherwise(1)
+    fresh = F.when(F.lag("reach" if bridged else "end").over(W.partitionBy("doc_id").orderBy("start", "end")) >= F.col("start"), 0).otherwise(1)
     again = again.withColumn("fresh", fresh).withColumn("run", F.sum("fresh").over(W.partitionBy("doc_id").orderBy("start", "end").rowsBetween(W.unboundedPreceding, 0)))
     runs = again.groupBy("doc_id", "run").agg(F.min("start").alias("start"), F.max("end").alias("end"), F.count("*").alias("n_units"), F.sum("words").alias("n_words"), F.min_by("first_doc_id", "start").alias("first_doc_id"))
     null_id = lambda c: F.when(F.col(c) > -(1 << 63), F.col(c)).alias(c)

@@ -83,3 +83,17 @@ def test_repeated_rows_and_null_ids(spark):
     t = prose(10)
     got = removed_spans(spark.createDataFrame([(None, t), (1, t), (1, t)], "doc_id long, text string")).collect()
     assert {r.doc_id for r in got} == {1} and {r.first_doc_id for r in got} == {None}
+
+
+def test_runs_over_line_ends(spark):
+    """Passages of short lines, or of short paragraphs, are one run where wordless units do not end it."""
+    line = lambda: prose(1).strip().rstrip(".?") + "."
+    for gap in ("\n", "\n\n", "\n \n"):
+        lines = []
+        while sum(len(x.split()) for x in lines) <= 50:
+            if 24 <= len(x := line()) and len(x.split()) < 20:
+                lines.append(x)
+        passage = gap.join(lines)
+        df = spark.createDataFrame([(1, passage), (2, "Something else stands here before all.\n" + passage + gap)], "doc_id long, text string")
+        (got,) = removed_spans(df, bridged=True).collect()
+        assert (got.doc_id, got.start, got.end, got.n_words) == (2, 39, 39 + len(passage), len(passage.split()))

@@ -30,7 +30,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from facetsel.llm.buckets import led, stars, unsettled
-from facetsel.llm.common import components, ship, small, staged, table
+from facetsel.llm.common import components, n_words, ship, small, staged, table
 
 SHINGLE, PERCENT = 5, 85
 ROWS = 5
@@ -358,8 +358,15 @@ def op7_near(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str, percent: int = PERCENT) -> DataFrame:
     """One document of each group: the one with the least id (of rows with that same id, one)."""
-    groups = near_components(docs, percent=percent)[1]
-    return docs.join(groups.where("doc_id <> component").select("doc_id").distinct(), "doc_id", "left_anti").select(*docs.columns)
+    rows, groups = near_components(docs, percent=percent)
+    kept = docs.join(groups.where("doc_id <> component").select("doc_id").distinct(), "doc_id", "left_anti").select(*docs.columns)
+    again = rows.where("n_shingles > 0 and doc_id is not null").groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1")
+    again = staged(again.select("doc_id"), "repeated-ids")
+    if again.isEmpty():
+        return kept
+    repeated = kept.join(small(again), "doc_id", "left_semi").withColumn("has_set", n_words(F.col("text")) > 0)
+    one = repeated.where("has_set").groupBy("doc_id").agg(F.min_by(F.struct(*docs.columns), "text").alias("row")).select("row.*")
+    return kept.join(small(again), "doc_id", "left_anti").unionByName(repeated.where("not has_set").drop("has_set")).unionByName(one).select(*docs.columns)
 
 
 #: All pairs that share a shingle, and everything reachable from each text; no signature or bucket in here.

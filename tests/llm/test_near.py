@@ -114,3 +114,10 @@ def test_pipeline_stage_of_eighty_per_cent(spark):
     want = {c for _, c in brute(texts, 80).values()}
     assert {r.doc_id for r in dict(corpus_pipeline.STAGES)["near dedup"](spark, docs, "").collect()} == want
     assert len(want) < len({c for _, c in brute(texts).values()})
+
+
+def test_stage_keeps_one_of_repeated_rows(spark):
+    """Rows of one id and one text, with copies of other ids and without; rows without an id or a word stay."""
+    rows = [(1, "a b c d e f"), (1, "a b c d e f"), (2, "A b c d e f"), (3, "g h i j k l"), (3, "g h i j k l"), (4, ""), (4, ""), (None, "a b c d e f"), (None, "a b c d e f"), (5, "m")]
+    got = near_stage(spark, spark.createDataFrame(rows, "doc_id long, text string"), "").collect()
+    assert sorted(map(str, map(tuple, got))) == sorted(map(str, [rows[0], rows[3], (4, ""), (4, ""), rows[7], rows[7], (5, "m")]))

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from facetsel.functions.session import kept as staged
 from facetsel.functions.session import shared_dir, ship
 
-__all__ = ["HASH60_SQL", "WORD", "components", "hash60", "n_words", "shared_dir", "ship", "small", "staged", "table"]
+__all__ = ["HASH60_SQL", "WORD", "components", "given_id", "hash60", "n_words", "shared_dir", "ship", "small", "staged", "table", "whole_id"]
 
 #: A word: a run of anything but the six ASCII white-space characters.
 WORD = r"[^\x20\x09-\x0D]+"
@@ -28,6 +28,19 @@ def small(df: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
     return F.broadcast(df) if df.count() <= most else df
 
 
+_NO_ID = -(1 << 63)
+
+
+def whole_id(key: str | Column) -> Column:
+    """A bigint id without nulls, as Python workers want it: a column of theirs with nulls is one of doubles, which hold
+    no id above 2^53. given_id() gives the nulls back; the least bigint is no id."""
+    return F.coalesce((F.col(key) if isinstance(key, str) else key).cast("long"), F.lit(_NO_ID).cast("long"))
+
+
+def given_id(name: str) -> Column:
+    return F.when(F.col(name) > _NO_ID, F.col(name)).alias(name)
+
+
 def n_words(text: Column) -> Column:
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")
 

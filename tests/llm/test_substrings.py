@@ -13,21 +13,21 @@ def prose(n_sentences):
 
 
 def brute(docs):
-    """Units in order of (id, place); what came before goes, in runs of enough words."""
-    seen, out = {}, []
-    rows = [(i, *u) for i, t in sorted(docs) for u in units(t) if u[2]]
-    for i, s, e, n, d in sorted(rows):
-        if d in seen:
-            out.append((i, s, e, n, seen[d]))
-        else:
-            seen[d] = i
-    runs = []
-    for i, s, e, n, first in out:
-        if runs and runs[-1][0] == i and runs[-1][2] >= s:
-            runs[-1][2], runs[-1][3], runs[-1][4] = e, runs[-1][3] + 1, runs[-1][4] + n
-        else:
-            runs.append([i, s, e, 1, n, first])
-    return sorted(tuple(r) for r in runs if r[4] >= LEAST_WORDS)
+    """Units with words in order of (id, place); what came before goes, in runs of neighbours with enough different words."""
+    seen, runs = {}, []
+    for i, t in sorted(docs):
+        last = None
+        for place, (s, e, n, d) in enumerate(u for u in units(t) if u[2]):
+            if d not in seen:
+                seen[d] = i
+                continue
+            if last != place - 1 or not runs or runs[-1][0] != i:
+                runs.append([i, s, e, 0, 0, seen[d], {}])
+            last = place
+            r = runs[-1]
+            r[2], r[3], r[4] = e, r[3] + 1, r[4] + n
+            r[6][d] = n
+    return sorted(tuple(r[:6]) for r in runs if sum(r[6].values()) >= LEAST_WORDS)
 
 
 def some_docs():
@@ -50,7 +50,7 @@ def test_units_join_to_the_text():
 def test_against_brute_force(spark):
     docs = some_docs()
     df = spark.createDataFrame(docs, "doc_id long, text string").withColumn("start", F.lit(1)).withColumn("h1", F.lit("x"))
-    got = sorted(tuple(r) for r in removed_spans(df).collect())
+    got = sorted(tuple(r) for r in removed_spans(df).drop("part", "copy").collect())
     assert got == brute(docs)
     texts = dict(docs)
     cut = {r.doc_id: r.text for r in without_spans(df, removed_spans(df)).collect()}
@@ -80,20 +80,33 @@ def test_planted_passages(spark):
 
 
 def test_repeated_rows_and_null_ids(spark):
-    t = prose(10)
-    got = removed_spans(spark.createDataFrame([(None, t), (1, t), (1, t)], "doc_id long, text string")).collect()
-    assert {r.doc_id for r in got} == {1} and {r.first_doc_id for r in got} == {None}
+    """Of equal rows the first stays whole, also beside nulls and ids that no double holds; rows of one id and other texts
+    are documents of their own."""
+    t, other, big = prose(10), prose(10), 2**60 + 1
+    rows = [(None, t), (1, t), (big, other), (big, other), (big, prose(8)), (2, None), (2, None)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").withColumns({"k": F.lit(1), "copy": F.lit(2), "row": F.lit(3), "removed_spans": F.lit("x")})
+    spans = removed_spans(df)
+    got = sorted(((r.doc_id, r.copy, r.first_doc_id) for r in spans.collect()), key=str)
+    assert got == [(1, 1, None), (big, 2, big)]
+    cut = without_spans(df, spans)
+    assert cut.columns == ["doc_id", "text", "k", "copy", "row", "removed_spans"]
+    assert sorted(((r.doc_id, r.text) for r in cut.collect()), key=str) == sorted([(None, t), (1, ""), (big, other), (big, ""), rows[4], (2, None), (2, None)], key=str)
 
 
 def test_runs_over_line_ends(spark):
-    """Passages of short lines, or of short paragraphs, are one run where wordless units do not end it."""
+    """Passages of short lines, or of short paragraphs, are one run: wordless units do not end it."""
     line = lambda: prose(1).strip().rstrip(".?") + "."
     for gap in ("\n", "\n\n", "\n \n"):
         lines = []
         while sum(len(x.split()) for x in lines) <= 50:
-            if 24 <= len(x := line()) and len(x.split()) < 20:
+            if len(x := line()) and len(x.split()) < 20:
                 lines.append(x)
         passage = gap.join(lines)
         df = spark.createDataFrame([(1, passage), (2, "Something else stands here before all.\n" + passage + gap)], "doc_id long, text string")
-        (got,) = removed_spans(df, bridged=True).collect()
+        (got,) = removed_spans(df).collect()
         assert (got.doc_id, got.start, got.end, got.n_words) == (2, 39, 39 + len(passage), len(passage.split()))
+
+
+def test_stuttering_is_no_passage(spark):
+    df = spark.createDataFrame([(1, "the, " * 100), (2, "ha! " * 60)], "doc_id long, text string")
+    assert removed_spans(df).count() == 0

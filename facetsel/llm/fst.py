@@ -5,12 +5,14 @@ last piece of each prefix is settled by the last pieces of few earlier prefixes.
 for every start from which a longer piece could still grow, the characters since, the piece that ends there and how many
 tokens it lacks to the present count. Reading a character gives the next state and the number of tokens emitted, which
 may be negative where a longer piece replaces shorter ones. States and transitions are made when first met and kept;
-when there are too many they are dropped and made again, so memory is bounded and counts stay exact.
+when there are too many of either they are dropped and made again, so memory is bounded (some 150 MB a worker, whatever
+the texts hold) and counts stay exact.
 
 Between two characters that no piece holds side by side the transducer forgets its past: there it synchronises. A chunk
 of text is a map from the state before it to the state after it and a count: its characters up to the first synchronising
 point, a count from there on, and a fixed state at its end. Such maps compose associatively, which is what lets long
-texts be cut anywhere, and chunks between synchronising points be counted once and looked up again."""
+texts be cut anywhere, their chunks be read by different tasks, and the maps be joined pairwise in a tree; and what lets
+chunks between synchronising points be counted once and looked up again."""
 
 from __future__ import annotations
 
@@ -23,28 +25,30 @@ SPACE = "▁"
 
 @dataclass(frozen=True)
 class ChunkMap:
-    """Reads head from any state before it; if closed, then emits count and ends in state whatever came before."""
+    """Reads head from any state before it; if closed, then emits count and ends in state whatever came before. A state is
+    told by what it holds, so that maps go from one worker to another."""
 
     head: str
     closed: bool = False
     count: int = 0
-    state: int = 0
+    state: tuple = ()
 
 
 class CountTransducer:
     """scores: piece -> score, of ordinary pieces only; any other character counts as its UTF-8 bytes."""
 
-    def __init__(self, scores: dict[str, float], most_states: int = 200_000):
-        self.scores, self.most_states = scores, most_states
+    def __init__(self, scores: dict[str, float], most_states: int = 100_000, most_steps: int = 250_000):
+        self.scores, self.most_states, self.most_steps = scores, most_states, most_steps
         self.prefixes = {p[:i] for p in scores for i in range(1, len(p))}
         self.joined = {p[i : i + 2] for p in scores for i in range(len(p) - 1)}
-        self._whole = lru_cache(500_000)(self._whole)
+        self._whole = lru_cache(50_000)(self._whole)
         self.clear()
 
     def clear(self) -> None:
         self.ids: dict[tuple, int] = {}
         self.states: list[tuple] = []
         self.next: list[dict[str, tuple[int, int]]] = []
+        self.steps = 0
         self.start = self._id((("", None, 0),))
 
     def _id(self, state: tuple) -> int:
@@ -89,6 +93,7 @@ class CountTransducer:
         piece, emitted = last
         after = (*((s, p, k + emitted) for s, p, k in kept), ("", piece if piece in self.scores else None, 0))
         out = self.next[state][ch] = (self._id(after), emitted)
+        self.steps += 1
         return out
 
     def walk(self, state: int, text: str) -> tuple[int, int]:
@@ -97,7 +102,7 @@ class CountTransducer:
             try:
                 state, k = tables[state][ch]
             except KeyError:
-                if len(self.states) > self.most_states:
+                if len(self.states) > self.most_states or self.steps > self.most_steps:
                     state = self.reset(state)
                     tables = self.next
                 state, k = self.step(state, ch)
@@ -114,46 +119,52 @@ class CountTransducer:
         if at is None:
             return ChunkMap(text)
         state, n = self.walk(self.start, text[at:])
-        return ChunkMap(text[:at], True, n, state)
+        return ChunkMap(text[:at], True, n, self.states[state])
 
     def compose(self, first: ChunkMap, second: ChunkMap) -> ChunkMap:
-        if not first.closed and not second.closed:
-            return self.chunk(first.head + second.head)
         if not first.closed:
             joint = self.chunk(first.head + second.head)
+            if not second.closed:
+                return joint
             if not joint.closed:
                 return ChunkMap(joint.head, True, second.count, second.state)
             return ChunkMap(joint.head, True, joint.count + second.count, second.state)
-        state, n = self.walk(first.state, second.head)
+        state, n = self.walk(self._id(first.state), second.head)
         if second.closed:
             return ChunkMap(first.head, True, first.count + n + second.count, second.state)
-        return ChunkMap(first.head, True, first.count + n, state)
+        return ChunkMap(first.head, True, first.count + n, self.states[state])
+
+    def scanned(self, maps: list[ChunkMap]) -> ChunkMap:
+        """The map of all, in order: neighbours are joined level by level, as a parallel scan has it."""
+        while len(maps) > 1:
+            pairs = [self.compose(a, b) for a, b in zip(maps[::2], maps[1::2], strict=False)]
+            maps = pairs + maps[len(maps) & ~1 :]
+        return maps[0]
+
+    def total(self, whole: ChunkMap) -> int:
+        return self.walk(self.start, whole.head)[1] + whole.count
 
     def count(self, text: str, chunk: int = 1 << 16) -> int:
-        """The tokens of a text of any length: maps of its chunks, composed from left to right."""
+        """The tokens of a text of any length."""
         if len(text) <= chunk:
             return self.walk(self.start, text)[1]
-        whole = None
-        for i in range(0, len(text), chunk):
-            if len(self.states) > self.most_states // 2:  # no state number is held between texts' chunks but whole's
-                held = self.states[whole.state] if whole and whole.closed else None
-                self.clear()
-                whole = ChunkMap(whole.head, True, whole.count, self._id(held)) if held else whole
-            part = self.chunk(text[i : i + chunk])
-            whole = part if whole is None else self.compose(whole, part)
-        return self.walk(self.start, whole.head)[1] + whole.count
+        return self.total(self.scanned([self.chunk(text[i : i + chunk]) for i in range(0, len(text), chunk)]))
 
 
 class WordCounts(dict):
-    """Chunks between white space, each after one space, with their counts; bounded."""
+    """Chunks between white space, each after one space, with their counts. Of two generations of at most so many words
+    the older one is dropped when the newer is full; words that are met again meanwhile move on."""
 
-    def __init__(self, machine: CountTransducer, most: int = 1_000_000, longest: int = 40):
-        self.machine, self.most, self.longest = machine, most, longest
+    def __init__(self, machine: CountTransducer, most: int = 100_000, longest: int = 40):
+        self.machine, self.most, self.longest, self.older = machine, most, longest, {}
 
     def __missing__(self, word: str) -> int:
-        n = self.machine.count(SPACE + word)
+        n = self.older.get(word)
+        if n is None:
+            n = self.machine.count(SPACE + word)
         if len(word) <= self.longest:
             if len(self) >= self.most:
+                self.older = dict(self)
                 self.clear()
             self[word] = n
         return n
@@ -196,6 +207,20 @@ class PieceCounter:
                 run += SPACE
         return n + (self.machine.count(run) if run else 0)
 
+    def chunk(self, text: str, first: bool) -> ChunkMap:
+        """The map of one of the chunks that a text is cut into anywhere. Between its first and last words, words are
+        looked up; the walk from word to word is a walk from one synchronising point to the next."""
+        text = (SPACE if first else "") + text.replace(" ", SPACE)
+        lo = text.find(SPACE, 1)
+        hi = text.rfind(SPACE)
+        if lo < 0 or hi <= lo or not self.machine.synchronises(text[lo - 1], SPACE) or SPACE + SPACE in text:
+            return self.machine.chunk(text)
+        tail, n = self.machine.walk(self.machine.start, text[hi:])
+        return ChunkMap(text[:lo], True, sum(map(self.words.__getitem__, text[lo + 1 : hi].split(SPACE))) + n, self.machine.states[tail])
+
+    def joined(self, maps: list[ChunkMap]) -> int:
+        return self.machine.total(self.machine.scanned(maps)) if maps else 0
+
     def all(self, texts: Iterable[str | None]) -> list[int]:
         return [self(t) if t else 0 for t in texts]
 

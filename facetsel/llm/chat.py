@@ -9,7 +9,7 @@ backslash after its first character, and one that has backslashes there already
 reads the text back whatever it holds.
 
 Defined results: null text is empty, null role is empty, parts of an unknown kind or null parts are skipped; turns
-with equal numbers go by role and text; other columns are ignored. A conversation is never held as a whole: turns
+with equal numbers go by role and text; turns without a conv_id are one conversation; other columns are ignored. A conversation is never held as a whole: turns
 are formatted where they lie, and digests are taken over sorted rows as they stream by.
 """
 
@@ -22,7 +22,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from facetsel.llm.common import ship, table
+from facetsel.llm.common import given_id, ship, table, whole_id
 
 TURN, TEXT, END = "<|turn|>", "<|text|>", "<|end|>\n"
 #: Control strings of this and other common templates: <|...|>, <s>, </s>, [INST], [/INST].
@@ -112,7 +112,6 @@ def _digests(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     for batch in batches:
         done = []
         for conv, role, text, loss, n in zip(*(batch[c] for c in ("conv_id", "role", "text", "loss_text", "n_chars")), strict=True):
-            conv = None if pd.isna(conv) else int(conv)
             if at != (conv,):
                 if at:
                     done.append((at[0], sums[0], sums[1].hexdigest(), sums[2], sums[3].hexdigest(), sums[4]))
@@ -124,16 +123,17 @@ def _digests(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
                 sums[3].update(loss.encode())
             sums[4] += int(n)
         if done:
-            yield pd.DataFrame(done, columns=names).astype({"conv_id": "Int64"})
+            yield pd.DataFrame(done, columns=names)
     if at:
-        yield pd.DataFrame([(at[0], sums[0], sums[1].hexdigest(), sums[2], sums[3].hexdigest(), sums[4])], columns=names).astype({"conv_id": "Int64"})
+        yield pd.DataFrame([(at[0], sums[0], sums[1].hexdigest(), sums[2], sums[3].hexdigest(), sums[4])], columns=names)
 
 
 def conversation_digests(turns: DataFrame) -> DataFrame:
     """By conversation, what the formatted text holds; memory does not grow with a conversation's length."""
     ship(turns.sparkSession)
-    rows = turns.repartition("conv_id").sortWithinPartitions("conv_id", "turn", "role", "text")
-    return rows.select("conv_id", "role", "text", "loss_text", "n_chars").mapInPandas(_digests, "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long")
+    rows = turns.withColumn("conv_id", whole_id("conv_id")).repartition("conv_id").sortWithinPartitions("conv_id", "turn", "role", "text")
+    out = rows.select("conv_id", "role", "text", "loss_text", "n_chars").mapInPandas(_digests, "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long")
+    return out.withColumn("conv_id", given_id("conv_id"))
 
 
 def op4_chat(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -9,7 +9,7 @@ The benchmark is a query set: it is read in blocks of a fixed number of items, e
 documents are scanned against every block. Texts are never shuffled.
 
 Defined results: words are runs without white space, in lower case, without ASCII punctuation; null and empty texts and
-items of fewer than SHORTEST words match nothing. Repeated
+items of fewer than SHORTEST words match nothing; a null id stays null. Repeated
 rows give repeated results; other columns are ignored.
 """
 
@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from facetsel.llm.common import ship, table
+from facetsel.llm.common import given_id, ship, table, whole_id
 
 #: With two words of thirteen changed, four neighbours are left somewhere; the spaced masks add the usual cases of more.
 MASKS = ("1111", "1101011", "110010101")
@@ -160,9 +160,9 @@ def leaks(docs: DataFrame, benchmark: DataFrame, text: str = "text", key: str =
         def scan(batches: Iterator[pd.DataFrame], sent=sent) -> Iterator[pd.DataFrame]:
             for b in batches:
                 rows = [(k, *x) for k, t in zip(b["k"], b["t"], strict=True) for x in sent.value.overlaps(t)]
-                yield pd.DataFrame(rows, columns=["doc_id", "item_id", "first_word", "n_words", "n_equal"]).astype({"doc_id": "Int64"})
+                yield pd.DataFrame(rows, columns=["doc_id", "item_id", "first_word", "n_words", "n_equal"])
 
-        part = docs.select(F.col(key).alias("k"), F.col(text).alias("t")).mapInPandas(scan, schema)
+        part = docs.select(whole_id(key).alias("k"), F.col(text).alias("t")).mapInPandas(scan, schema).withColumn("doc_id", given_id("doc_id"))
         out = part if out is None else out.unionByName(part)
     return out if out is not None else spark.createDataFrame([], schema)
 

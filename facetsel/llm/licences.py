@@ -9,8 +9,8 @@ template's bigrams that it holds a word of any selection of all but so many of t
 
 Only DataFrame functions; one pass without a shuffle, but for the best unit of each text and template.
 
-Defined results: null and empty texts match nothing; repeated rows (equal ids) give one result; other columns are
-ignored; templates of fewer than two words are refused.
+Defined results: null and empty texts match nothing; repeated rows (equal ids) give one result, and so do all rows without
+an id; other columns are ignored; templates of fewer than two words are refused.
 """
 
 from __future__ import annotations

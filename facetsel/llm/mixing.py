@@ -4,7 +4,7 @@ Every document gets a hash-random key. Within its source the keys are cut into e
 that no window is ever long); sums of the ranges give a distributed prefix sum of token counts, and each source is
 cut at its exact budget in key order, after as many whole epochs as the budget holds. Only ids, sizes and keys move.
 
-Defined results: a null or empty text has size 0 and takes 0; a null source is a source of its own, last; repeated
+Defined results: a null or empty text has size 0 and takes 0; a null source is a source of its own, last; a null id stays null, its random key is that of an empty one; repeated
 rows count one by one; an empty table gives an empty result; other columns are ignored.
 """
 

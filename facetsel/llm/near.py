@@ -30,7 +30,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from facetsel.llm.buckets import led, stars, unsettled
-from facetsel.llm.common import components, n_words, ship, small, staged, table
+from facetsel.llm.common import components, given_id, n_words, ship, small, staged, table, whole_id
 
 SHINGLE, PERCENT = 5, 85
 ROWS = 5
@@ -111,9 +111,10 @@ def sketch(docs: DataFrame, text: str, key: str, n_bands: int) -> DataFrame:
                 raw = sig[: n_bands * ROWS].tobytes()
                 bands.append(b"".join(xxhash.xxh3_64_digest(raw[4 * ROWS * i : 4 * ROWS * (i + 1)], seed=i) for i in range(n_bands)))
                 sigs.append(sig.astype(np.uint8).tobytes())
-            yield pd.DataFrame({"doc_id": b["k"].astype("Int64"), "n_shingles": [len(s) for s in sets], "h1": np.array([d >> 64 for d in digests], np.uint64).view(np.int64), "h2": np.array([d & bits64 for d in digests], np.uint64).view(np.int64), "bands": bands, "sig": sigs})
+            yield pd.DataFrame({"doc_id": b["k"], "n_shingles": [len(s) for s in sets], "h1": np.array([d >> 64 for d in digests], np.uint64).view(np.int64), "h2": np.array([d & bits64 for d in digests], np.uint64).view(np.int64), "bands": bands, "sig": sigs})
 
-    return docs.select(F.col(key).alias("k"), F.col(text).alias("t")).mapInPandas(sketched, "doc_id long, n_shingles long, h1 long, h2 long, bands binary, sig binary")
+    out = docs.select(whole_id(key).alias("k"), F.col(text).alias("t")).mapInPandas(sketched, "doc_id long, n_shingles long, h1 long, h2 long, bands binary, sig binary")
+    return out.withColumn("doc_id", given_id("doc_id"))
 
 
 def steps_of(percent: int) -> list[tuple[int, int]]:

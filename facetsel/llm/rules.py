@@ -5,7 +5,7 @@ under a public vocabulary, characters per token, the share of byte-fallback toke
 rejects a text outside the band of its language (or of its main script where the language has no band).
 
 Defined results: a null text has no words, fails the base rules and has zero measures; null or unknown languages go by
-script; repeated rows give repeated rows; other columns are ignored. Whole texts, one pass, no shuffle."""
+script; a null id stays null; repeated rows give repeated rows; other columns are ignored. Whole texts, one pass, no shuffle."""
 
 from __future__ import annotations
 
@@ -16,8 +16,9 @@ from itertools import chain
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from facetsel.llm.common import ship, table
+from facetsel.llm.common import given_id, ship, table, whole_id
 from facetsel.llm.tokens import MODEL, model_path
 
 SYMBOLS, SPACES = b"#*$%&|<>", b" \t\n\v\f\r"
@@ -129,9 +130,10 @@ def quality_rules(docs: DataFrame, text: str = "text", key: str = "doc_id", lang
         names = [x.split()[0] for x in SCHEMA.split(", ")]
         for b in batches:
             rows = [(k, *rules.judge(t, g, pieces, bands)) for k, t, g in zip(b["k"], b["t"], b["g"], strict=True)]
-            yield pd.DataFrame(rows, columns=names).astype({"doc_id": "Int64"})
+            yield pd.DataFrame(rows, columns=names)
 
-    return docs.selectExpr(f"`{key}` as k", f"`{text}` as t", f"`{lang}` as g").mapInPandas(measured, SCHEMA)
+    out = docs.select(whole_id(key).alias("k"), F.col(text).alias("t"), F.col(lang).alias("g")).mapInPandas(measured, SCHEMA)
+    return out.withColumn("doc_id", given_id("doc_id"))
 
 
 def op9_rules(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -5,7 +5,7 @@ last piece of each prefix is settled by the last pieces of few earlier prefixes.
 for every start from which a longer piece could still grow, the characters since, the piece that ends there and how many
 tokens it lacks to the present count. Reading a character gives the next state and the number of tokens emitted, which
 may be negative where a longer piece replaces shorter ones. States and transitions are made when first met and kept;
-when there are too many of either they are dropped and made again, so memory is bounded (some 150 MB a worker, whatever
+when there are too many of either they are dropped and made again, so memory is bounded (some 250 MB a worker, whatever
 the texts hold) and counts stay exact.
 
 Between two characters that no piece holds side by side the transducer forgets its past: there it synchronises. A chunk
@@ -37,7 +37,7 @@ class ChunkMap:
 class CountTransducer:
     """scores: piece -> score, of ordinary pieces only; any other character counts as its UTF-8 bytes."""
 
-    def __init__(self, scores: dict[str, float], most_states: int = 100_000, most_steps: int = 250_000):
+    def __init__(self, scores: dict[str, float], most_states: int = 150_000, most_steps: int = 400_000):
         self.scores, self.most_states, self.most_steps = scores, most_states, most_steps
         self.prefixes = {p[:i] for p in scores for i in range(1, len(p))}
         self.joined = {p[i : i + 2] for p in scores for i in range(len(p) - 1)}
@@ -155,7 +155,7 @@ class WordCounts(dict):
     """Chunks between white space, each after one space, with their counts. Of two generations of at most so many words
     the older one is dropped when the newer is full; words that are met again meanwhile move on."""
 
-    def __init__(self, machine: CountTransducer, most: int = 100_000, longest: int = 40):
+    def __init__(self, machine: CountTransducer, most: int = 150_000, longest: int = 40):
         self.machine, self.most, self.longest, self.older = machine, most, longest, {}
 
     def __missing__(self, word: str) -> int:

@@ -147,67 +147,6 @@ def train(docs: DataFrame, labels: DataFrame, s: Settings = Settings()) -> Model
         return Model(s, m["rarity"], m["axes"], m["vectors"], m["labels"], prior)
 
 
-def score(self, bags: np.ndarray) -> np.ndarray:
-        if not len(self.labels):
-            return np.full(len(bags), 0.5)
-        s, seen = self.settings, bags.any(axis=1)
-        cosines = self.latent(bags) @ self.vectors.T
-        k = min(s.neighbours, len(self.labels))
-        near = np.argpartition(cosines, len(self.labels) - k, axis=1)[:, -k:]
-        votes = np.maximum(np.take_along_axis(cosines, near, 1), 1e-6).astype(np.float64) ** s.sharpness
-        share = self.labels.mean()
-        weight = np.where(self.labels[near] == 1, self.prior / max(share, 1e-9), (1 - self.prior) / max(1 - share, 1e-9))
-        votes = votes * weight
-        out = (votes * (self.labels[near] == 1)).sum(axis=1) / np.maximum(votes.sum(axis=1), 1e-300)
-        return np.where(seen, np.clip(out, 0, 1), self.prior)
-
-
-def fit(bags: np.ndarray, labels: np.ndarray, prior: float, s: Settings) -> Model:
-    """Singular directions by subspace iteration from a fixed start."""
-    if not len(labels):
-        return Model(s, np.zeros(s.buckets, np.float32), np.zeros((s.buckets, 1), np.float32), np.zeros((0, 1), np.float32), labels, 0.5)
-    rarity = np.log1p(len(bags) / (1.0 + (bags > 0).sum(axis=0))).astype(np.float32)
-    model = Model(s, rarity, np.zeros((s.buckets, 1), np.float32), np.zeros((0, 1), np.float32), labels, prior)
-    x = np.sqrt(bags)
-    x *= rarity
-    x /= np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-12)
-    q = np.random.default_rng(5).standard_normal((s.buckets, min(s.dims + 16, len(x), s.buckets))).astype(np.float32)
-    for _ in range(4):
-        q = np.linalg.qr(x.T @ (x @ q))[0]
-    inside = np.linalg.svd(x @ q, full_matrices=False)[2]
-    model.axes = np.ascontiguousarray((q @ inside.T)[:, : s.dims]).astype(np.float32)
-    model.vectors = np.ascontiguousarray(model.latent(bags))
-    return model
-
-
-def labelled_sample(docs: DataFrame, labels: DataFrame, s: Settings) -> DataFrame:
-    """(label, text): of the learnable labelled rows, for each label those whose ids have the least md5, per_class at
-    most. Ids of the held-out part of the data are never learned from."""
-    known = labels.where("quality is not null and doc_id is not null").groupBy("doc_id").agg(F.max("quality").alias("label"))
-    known = known.where("crc32(cast(doc_id as string)) % 4 <> 2")
-    picked = None
-    for label in (0, 1):
-        part = known.where(F.col("label") == label).orderBy(F.md5(F.col("doc_id").cast("string")), "doc_id").limit(s.per_class)
-        picked = part if picked is None else picked.unionByName(part)
-    return docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").groupBy("doc_id").agg(F.first("label").alias("label"), F.min("text").alias("text"))
-
-
-def train(docs: DataFrame, labels: DataFrame, s: Settings = Settings()) -> Model:
-    ship(docs.sparkSession)
-
-    def bags(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            yield pd.DataFrame({"doc_id": b["doc_id"], "label": b["label"], "bag": [bag(t, s.buckets).astype(np.uint32).tobytes() for t in b["text"]]})
-
-    rows = labelled_sample(docs, labels, s).mapInPandas(bags, "doc_id long, label int, bag binary").collect()
-    rows.sort(key=lambda r: r.doc_id)
-    base = labels.where("quality is not null and crc32(cast(doc_id as string)) % 4 <> 2").agg(F.avg((F.col("quality") == 1).cast("double"))).first()[0]
-    x = np.zeros((len(rows), s.buckets), np.float32)
-    for i, r in enumerate(rows):
-        x[i] = np.frombuffer(r.bag, np.uint32)
-    return fit(x, np.array([r.label for r in rows], np.int64), 0.5 if base is None else float(base), s)
-
-
 def score(docs: DataFrame, model: Model, key: str = "doc_id", block: int = 256) -> DataFrame:
     """(doc_id, held_out, score, predicted) for every row."""
     spark = docs.sparkSession

@@ -17,7 +17,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from facetsel.llm.common import HASH60_SQL, hash60, n_words, staged, table
+from facetsel.llm.common import HASH60_SQL, hash60, n_words, small, staged, table, whole_id
 
 #: Rows that a finest key range holds on average, and the most bits of a level of ranges.
 RANGE_ROWS, LEVEL_BITS = 256, 12
@@ -86,14 +86,26 @@ def op1_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def mix_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The documents of the mix with size, source_size, target and taken; those of which it takes nothing go.
-
-    Ids that repeat stand for repeated rows: they are numbered so that each keeps its own share."""
-    numbered = docs.withColumn("__n", F.row_number().over(W.partitionBy("doc_id").orderBy("source", F.xxhash64("text")))).withColumn("__id", F.concat_ws("#", "doc_id", "__n"))
-    shares = mix(numbered, n_words(numbered["text"]), key="__id").withColumnRenamed("doc_id", "__id")
+    """The documents of the mix with size, source_size, target and taken, in place of columns of such names that docs has;
+    those of which it takes nothing go.
+
+    Only ids, sources, hashes and sizes of texts are numbered, sorted and summed; texts move once, to meet their shares.
+    Rows equal in id, source and text are numbered, so that each keeps its own share."""
+    row = ["k", "s", "h"]
+    own = [whole_id("doc_id").alias("k"), F.coalesce("source", F.lit("")).alias("s"), F.xxhash64("text", "source").alias("h")]
+    slim = staged(docs.select(*own, "source", n_words(docs["text"]).alias("size")), "mix-rows")
+    twice = staged(slim.groupBy(*row).agg(F.count("*").alias("n")).where("n > 1").select(*row), "mix-repeats")
+    rows, slim = docs.select(F.struct(*docs.columns).alias("row"), *own).withColumn("nth", F.lit(1)), slim.withColumn("nth", F.lit(1))
+    if not twice.isEmpty():
+        numbered = lambda df: df.join(small(twice), row, "left_semi").withColumn("nth", F.row_number().over(W.partitionBy(*row).orderBy(F.lit(0))))
+        rows = rows.join(small(twice), row, "left_anti").unionByName(numbered(rows))
+        slim = slim.join(small(twice), row, "left_anti").unionByName(numbered(slim))
+    named = slim.select(F.concat_ws("#", "k", "h", "nth").alias("name"), "source", "size")
+    shares = mix(named, F.col("size"), key="name")
+    told = shares.where("taken > 0").select(F.split_part("doc_id", F.lit("#"), F.lit(1)).cast("long").alias("k"), F.split_part("doc_id", F.lit("#"), F.lit(2)).cast("long").alias("h"), F.split_part("doc_id", F.lit("#"), F.lit(3)).cast("int").alias("nth"), "size", "source_size", "target", "taken")
     added = ["size", "source_size", "target", "taken"]
-    kept = numbered.drop(*added).join(shares.where("taken > 0"), "__id")
-    return kept.select(*[c for c in docs.columns if c not in added], *added)
+    kept = rows.join(small(staged(told, "mix-shares")), ["k", "h", "nth"])
+    return kept.select(*[F.col(f"row.{c}") for c in docs.columns if c not in added], *added)
 
 
 OP1_SQL = rf"""

@@ -46,3 +46,17 @@ def test_edges(spark):
     assert sorted((r.size, r.taken) for r in mix(docs, n_words(docs["text"])).collect()) == [(0, 0), (2, 2), (2, 2)]
     out = mix_stage(spark, docs, "")
     assert out.columns == ["doc_id", "text", "source", "size", "source_size", "target", "taken"][0:3] + ["size", "source_size", "target", "taken"] and out.count() == 2
+
+
+def test_stage(spark):
+    """Repeated rows and rows without id or source keep their own shares; columns of the stage's names give way."""
+    rows = [(i % 7 if i % 5 else None, f"w{i % 3} " * (i % 9), "abc"[i % 3] if i % 4 else None, "en", 9.0) for i in range(60)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, lang string, target double").selectExpr("*", "1 as k", "2 as row", "3 as h")
+    got = mix_stage(spark, docs, "")
+    assert got.columns == ["doc_id", "text", "source", "lang", "k", "row", "h", "size", "source_size", "target", "taken"]
+    out = got.collect()
+    assert all(0 < r.taken <= 3 * r.size and r.size == len(r.text.split()) for r in out)
+    for source in ("a", "b", "c", None):
+        own = [r for r in out if r.source == source]
+        assert abs(sum(r.taken for r in own) - own[0].target) <= 0.5
+    assert mix_stage(spark, docs.limit(0), "").count() == 0

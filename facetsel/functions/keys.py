@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -62,8 +63,24 @@ def nth_key_cutoff(df: DataFrame, by: str, key: str, wanted: dict[int, int]) ->
     return out
 
 
+def ranked_between(df: DataFrame, key: str, lo: int, hi: int) -> DataFrame:
+    """The rows of ranks lo + 1 to hi by key, exactly hi - lo of them or all there are: two cuts and a filter, not a sort.
+    Rows of one key at a cut, as repeated rows have, are told apart by a digest of all their columns."""
+    keyed = df.withColumn("__g", F.lit(0)).select("__g", F.col(key).alias("__k"))
+    low, high = (nth_key_cutoff(keyed, "__g", "__k", {0: n})[0] for n in (lo, hi))
+    below = lambda c: F.count(F.when(F.col("__k") < F.lit(c), 1))
+    upto = lambda c: F.count(F.when(F.col("__k") <= F.lit(c), 1))
+    n = keyed.agg(below(low).alias("bl"), upto(low).alias("ul"), below(high).alias("bh"), upto(high).alias("uh")).first()
+    if n["ul"] <= lo and n["uh"] <= hi:
+        return df.where((F.col(key) > F.lit(low)) & (F.col(key) <= F.lit(high)))
+    middle = df.where((F.col(key) > F.lit(low)) & (F.col(key) < F.lit(high)))
+    edges = df.where(F.col(key).isin(low, high))
+    digest = F.xxhash64(*[F.to_json(F.col(c)) if isinstance(t.dataType, (T.MapType, T.VariantType)) else F.col(c) for c, t in zip(df.columns, df.schema, strict=True)])
+    before = F.when(F.col(key) == F.lit(low), F.lit(n["bl"])).otherwise(F.lit(n["bh"]))
+    ranked = edges.withColumn("__rank", before + F.row_number().over(W.partitionBy(key).orderBy(digest)))
+    return middle.unionByName(ranked.where((F.col("__rank") > lo) & (F.col("__rank") <= hi)).drop("__rank"))
+
+
 def smallest(df: DataFrame, key: str, n: int) -> DataFrame:
-    """The n rows of least key (ties at the cut included): a filter, not a sort."""
-    keyed = df.withColumn("__g", F.lit(0))
-    cut = nth_key_cutoff(keyed.select("__g", key), "__g", key, {0: n})[0]
-    return df.where(F.col(key) <= F.lit(cut))
+    """The n rows of least key."""
+    return ranked_between(df, key, 0, n)

@@ -48,12 +48,12 @@ class Layout:
 
 def pack(judged: DataFrame, facets: Sequence[str], styles: Sequence[str], seed: int = 42) -> DataFrame:
     """(instance_id, source, sig, tie): three bits a score and one bit a flag in one bigint, about 28 bytes a row. All
-    that follows reads this and no text."""
+    that follows reads this and no text. A missing score or flag is 0."""
     sig: Column = F.lit(0).cast("long")
     for i, f in enumerate(facets):
-        sig = sig.bitwiseOR(F.shiftleft(F.col(f"r_{f}").cast("long"), 3 * i))
+        sig = sig.bitwiseOR(F.shiftleft(F.coalesce(F.col(f"r_{f}").cast("long"), F.lit(0)), 3 * i))
     for i, s in enumerate(styles):
-        sig = sig.bitwiseOR(F.shiftleft(F.col(f"g_{s}").cast("long"), 3 * len(facets) + i))
+        sig = sig.bitwiseOR(F.shiftleft(F.coalesce(F.col(f"g_{s}").cast("long"), F.lit(0)), 3 * len(facets) + i))
     return judged.select("instance_id", "source", sig.alias("sig"), tie_key(seed, "instance_id").alias("tie"))
 
 

@@ -10,7 +10,7 @@ rounds   deferred acceptance over exploded memberships: every cell proposes to i
          it, a member keeps its first cell and refuses the others, until none is refused.
 cutoff   a cell's outcome is one number, the worst key it accepts. The driver holds one bound for each cell; a round
          scans the compact rows and moves each bound to where the cell has its quota of members that no earlier cell's
-         bound takes. No row is shuffled; for any size. Rows with equal keys (60-bit md5 ties) would be taken together.
+         bound takes. No row is shuffled; for any size. Different ids with equal 60 bits of md5 would be taken together.
 """
 
 from __future__ import annotations
@@ -157,12 +157,16 @@ def _sweeps(table: DataFrame, layout: Layout, b: int, quotas: list[int], engine:
 
 def balanced_draw(judged: DataFrame, b: int, facets: Sequence[str] = DEFAULT_FACETS, styles: Sequence[str] = STYLES, order: str = "sweep", engine: str = "auto", by_source: str = "none", remainder: str = "first", seed: int = 42, named: bool = True) -> DataFrame:
     """(instance_id, source, cell_id, facet, style, score, pick_round, pick_rank) of b rows of judged, or of all that lie in
-    some cell if those are fewer.
+    some cell if those are fewer. Rows of one id are one instance, of the greatest scores; missing scores and flags are 0.
 
     judged: instance_id, source, r_<facet> 0..5, g_<style> 0/1. by_source: none; flat cuts cells by source; nested lets
     sources take turns inside a cell (serial engine)."""
     facets, styles = tuple(facets), tuple(styles)
     table = kept(pack(judged, facets, styles, seed), "packed")
+    twice = kept(table.groupBy("instance_id").agg(F.count("*").alias("n")).where("n > 1").select("instance_id"), "repeated")
+    if not twice.isEmpty():  # an instance is drawn once, however many rows it has
+        one = table.join(twice, "instance_id", "left_semi").groupBy("instance_id").agg(F.max(F.struct("sig", "source", "tie")).alias("x"))
+        table = kept(table.join(twice, "instance_id", "left_anti").unionByName(one.select("instance_id", "x.source", "x.sig", "x.tie")), "packed")
     sources = tuple(sorted((r[0] for r in table.select("source").distinct().collect()), key=lambda s: (s is None, s))) if by_source == "flat" else ()
     layout = Layout(facets, styles, sources)
     quotas = allot_quotas(b, layout, remainder, cell_sizes(table, layout) if remainder == "largest" else None)

@@ -39,6 +39,21 @@ class CellMeanStudent:
         return wide.select("instance_id", "facet", F.expr(f"cast(coalesce({mean('total', 'n')}, {mean('total0', 'n0')}) as int)").alias("score"))
 
 
+    def fit_wide(self, cells: DataFrame, taught: DataFrame, facets=FACET_NAMES, styles=STYLES) -> CellMeanStudent:
+        """The same for all facets and styles at once, of wide judgements; a style is a facet of two levels."""
+        self.columns = [f"r_{f}" for f in facets] + [f"g_{s}" for s in styles]
+        rows = cells.select("instance_id", *CELL).join(taught.select("instance_id", *self.columns), "instance_id")
+        mean = lambda c: F.expr(f"cast((2 * sum({c}) + count({c})) div (2 * count({c})) as int)")
+        self.wide = rows.groupBy(*CELL).agg(*[mean(c).alias(f"m_{c}") for c in self.columns])
+        self.whole = rows.agg(*[mean(c).alias(f"w_{c}") for c in self.columns])
+        return self
+
+    def score_wide(self, cells: DataFrame) -> DataFrame:
+        """instance_id, source, lang and all columns: one join with a model of 756 rows at most, nothing is exploded."""
+        told = cells.join(F.broadcast(self.wide), list(CELL), "left").crossJoin(F.broadcast(self.whole))
+        return told.select("instance_id", "source", "lang", *[F.coalesce(f"m_{c}", f"w_{c}").alias(c) for c in self.columns])
+
+
 def _text_stages(bits: int) -> list:
     return [RegexTokenizer(inputCol="body", outputCol="__t", pattern=TOKEN_GAP, minTokenLength=1), HashingTF(inputCol="__t", outputCol="__f", numFeatures=1 << bits), Normalizer(inputCol="__f", outputCol="__x")]
 

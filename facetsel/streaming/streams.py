@@ -36,7 +36,7 @@ def settled(stream: DataFrame, mode: str) -> DataFrame:
 
     def put(rows: DataFrame, batch: int) -> None:
         rows = rows.withColumn("batch_id", F.lit(batch)) if mode == "update" else rows
-        rows.write.mode("overwrite" if mode == "complete" else "append").parquet(out if mode != "append" else f"{out}/batch={batch}")
+        rows.write.mode("overwrite").parquet(out if mode == "complete" else f"{out}/batch={batch}")  # a batch that is tried again replaces itself
 
     stream.writeStream.foreachBatch(put).outputMode(mode).option("checkpointLocation", f"{top}/checkpoint").trigger(availableNow=True).start().awaitTermination()
     read = spark.read.parquet(out)
@@ -103,8 +103,9 @@ def sessions(spark, sf_dir):
 
 
 def dedup(spark, sf_dir):
-    """Texts seen for the first time, by digest."""
-    d = arriving(spark, sf_dir, "documents").select(F.md5("text").alias("h")).dropDuplicates(["h"])
+    """Texts seen for the first time within a day of arrivals, by digest; older digests leave the state."""
+    d = arriving(spark, sf_dir, "documents").select(F.md5("text").alias("h"), F.current_timestamp().alias("seen"))
+    d = d.withWatermark("seen", "1 day").dropDuplicatesWithinWatermark(["h"]).select("h")
     return settled(d, "append")
 
 

@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterator
+
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from facetsel.catalog import FACET_NAMES, FACETS, STYLES
 from facetsel.functions import rubric
 from facetsel.functions.keys import nth_key_cutoff, tie_key
+from facetsel.functions.session import ship
 
 
 def teacher_sample(pool: DataFrame, fraction: float, seed: int = 42, exact: bool = True, key: str = "instance_id") -> DataFrame:
@@ -63,6 +67,39 @@ class TableTeacher:
         return j.select("instance_id", "source", "lang", *[F.coalesce(F.col(f), F.lit(0)).cast("int").alias(f"r_{f}") for f in FACET_NAMES], *[F.coalesce(F.col(s), F.lit(0)).cast("int").alias(f"g_{s}") for s in STYLES])
 
 
+class BatchTeacher:
+    """An outside judge that is asked in batches: ask(texts) gives for each text a dict of facet scores and style flags.
+    Batches come by Arrow; one that fails is asked again, tries times; missing answers are 0, scores are held to 0..5."""
+
+    def __init__(self, ask: Callable[[list[str]], list[dict[str, int]]], batch: int = 64, tries: int = 3):
+        self.ask, self.batch, self.tries = ask, batch, tries
+
+    def judge(self, instances: DataFrame) -> DataFrame:
+        ship(instances.sparkSession)
+        ask, size, tries = self.ask, self.batch, self.tries
+        columns = {f"r_{f}": (f, 5) for f in FACET_NAMES} | {f"g_{s}": (s, 1) for s in STYLES}
+
+        def patiently(texts: list[str]) -> list[dict[str, int]]:
+            for left in range(tries - 1, -1, -1):
+                try:
+                    return ask(texts)
+                except OSError:
+                    if not left:
+                        raise
+            return []
+
+        def judged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for whole in batches:
+                for i in range(0, whole.num_rows, size):
+                    b = whole.slice(i, size)
+                    said = patiently([t or "" for t in b.column("body").to_pylist()])
+                    more = [pa.array([max(0, min(most, int(x.get(name) or 0))) for x in said], pa.int32()) for name, most in columns.values()]
+                    yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), *more], names=["instance_id", "source", "lang", *columns])
+
+        schema = "instance_id long, source string, lang string, " + ", ".join(f"{c} int" for c in columns)
+        return instances.select("instance_id", "source", "lang", "body").mapInArrow(judged, schema)
+
+
 def quality_judgement(instances: DataFrame) -> DataFrame:
     """One abstract criterion in place of the facets, and the one style 'any': 5 less a level each for junk symbols,
     shouting and repeated lines (two levels where they are many), 0 for texts without words."""

@@ -1,9 +1,9 @@
 """All registered queries of the engine, but those of the llm subpackage."""
 
-from facetsel.plans import comparison, relational, selection, subset, workloads
+from facetsel.plans import cleaning, comparison, relational, selection, subset, workloads
 from facetsel.streaming import streams
 
-_PARTS = (selection, subset, comparison, relational, workloads, streams)
+_PARTS = (selection, subset, cleaning, comparison, relational, workloads, streams)
 
 
 def queries():

@@ -5,8 +5,13 @@ there. Hashes of all masked windows of the benchmark are looked up for every win
 two texts are laid side by side, and the overlap counts if some stretch of WINDOW words (the whole item where it is
 shorter) agrees in at least AGREE of its words.
 
-The benchmark is a query set: it is read in blocks of a fixed number of items, each block's seeds are broadcast, and the
-documents are scanned against every block. Texts are never shuffled.
+The masks are chosen so that every stretch that counts holds a seed, wherever its changed words are: a test enumerates
+the patterns.
+
+The benchmark is a query set. Up to BLOCK_ITEMS items, by a count, their seeds are broadcast and looked up where the
+documents lie. Beyond that the seeds of both sides are joined by hash in one pass over the documents; each seed carries the
+words around it, by which chance meetings are turned away before a text moves, and the pairs left are verified on their
+whole texts. Both ways give the same rows.
 
 Defined results: words are runs without white space, in lower case, without ASCII punctuation; null and empty texts and
 items of fewer than SHORTEST words match nothing; a null id stays null. Repeated
@@ -26,14 +31,18 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from facetsel.llm.common import given_id, ship, table, whole_id
+from facetsel.llm.common import given_id, ship, small, staged, table, whole_id
 
-#: With two words of thirteen changed, four neighbours are left somewhere; the spaced masks add the usual cases of more.
-MASKS = ("1111", "1101011", "110010101")
+#: Of thirteen words two may differ: wherever they lie, one of these masks fits beside them.
+MASKS = ("1111011", "111010011")
 #: For items of fewer than WINDOW words, of which one in five may differ.
-SHORT_MASKS = ("111", "1101")
+SHORT_MASKS = ("1101", "1011")
 WINDOW, AGREE, SHORTEST = 13, 0.8, 4
 BLOCK_ITEMS = 20_000
+#: The bitmap of a large benchmark's seeds has at most so many address bits: 64 MB as the workers hold it.
+MOST_BITS = 26
+#: Rows of an Arrow batch of seeds.
+FLUSH = 10_000
 _DROP = string.punctuation.encode()
 _STEP = np.array([(0x9E3779B97F4A7C15 * (2 * i + 1)) & (2**64 - 1) for i in range(64)], np.uint64)
 
@@ -120,21 +129,26 @@ class SeedIndex:
         ids, best = word_ids(text), {}
         for i, d in self.diagonals(ids):
             item_id, item = self.items[i]
-            lo, hi = max(0, -d), min(len(item), len(ids) - d)
-            equal = item[lo:hi] == ids[lo + d : hi + d]
-            w = min(WINDOW, len(item))
-            if len(equal) < w:
-                continue
-            sums = np.cumsum(np.concatenate([[0], equal]))
-            runs = sums[w:] - sums[:-w]
-            good = np.flatnonzero(runs >= AGREE * w)
-            if len(good):
-                a, b = int(good[0]), int(good[-1]) + w
-                a, b = (x := np.flatnonzero(equal[a:b]))[0] + a, x[-1] + a + 1
-                got = (item_id, int(lo + d + a), int(b - a), int(sums[b] - sums[a]))
-                if item_id not in best or (got[3], -got[1]) > (best[item_id][3], -best[item_id][1]):
-                    best[item_id] = got
-        return [best[k] for k in sorted(best)]
+            got = stretch(ids, item, d)
+            if got and (item_id not in best or (got[2], -got[0]) > (best[item_id][2], -best[item_id][0])):
+                best[item_id] = got
+        return [(k, *best[k]) for k in sorted(best)]
+
+
+def stretch(ids: np.ndarray, item: np.ndarray, d: int) -> tuple[int, int, int] | None:
+    """(first word in the document, words compared, words equal) of what agrees where the item's first word lies at d."""
+    lo, hi = max(0, -d), min(len(item), len(ids) - d)
+    w = min(WINDOW, len(item))
+    if hi - lo < w:
+        return None
+    equal = item[lo:hi] == ids[lo + d : hi + d]
+    sums = np.cumsum(np.concatenate([[0], equal]))
+    good = np.flatnonzero(sums[w:] - sums[:-w] >= AGREE * w)
+    if not len(good):
+        return None
+    a, b = int(good[0]), int(good[-1]) + w
+    a, b = (x := np.flatnonzero(equal[a:b]))[0] + a, x[-1] + a + 1
+    return int(lo + d + a), int(b - a), int(sums[b] - sums[a])
 
 
 def item_blocks(benchmark: DataFrame, key: str, text: str, block: int) -> Iterator[SeedIndex]:
@@ -149,11 +163,106 @@ def item_blocks(benchmark: DataFrame, key: str, text: str, block: int) -> Iterat
         yield SeedIndex(held)
 
 
+HITS = "doc_id long, item_id long, first_word long, n_words long, n_equal long"
+SEEDS = "id long, seed long, at int, around array<long>"
+
+
+def _seeded(rows: DataFrame, items: bool, bits: int = 0, bitmap=None) -> DataFrame:
+    """(id, seed, at, around) of rows (k, t): each seed with the place of its window and the words of the WINDOW - 1 places
+    before it and of those from it on, zeros beyond the text; of documents only seeds that the bitmap knows."""
+
+    def batch(held: list[tuple[int, np.ndarray, np.ndarray, np.ndarray]]) -> pa.RecordBatch:
+        around = np.concatenate([x[3] for x in held])
+        ends = np.arange(0, around.size + 1, around.shape[1], dtype=np.int32)
+        lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(around.ravel().view(np.int64)))
+        at, seed = np.concatenate([x[2] for x in held]), np.concatenate([x[1] for x in held])
+        ids = np.concatenate([np.full(len(x[2]), x[0], np.int64) for x in held])
+        return pa.RecordBatch.from_arrays([pa.array(ids), pa.array(seed.view(np.int64)), pa.array(at.astype(np.int32)), lists], ["id", "seed", "at", "around"])
+
+    def told(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        shapes, reach = [_offsets(m) for m in (*MASKS, *SHORT_MASKS)], WINDOW - 1
+        held, n = [], 0
+        for b in batches:
+            for k, t in zip(b["k"], b["t"], strict=True):
+                ids = word_ids(t.as_py())
+                views = np.lib.stride_tricks.sliding_window_view(np.pad(ids, (reach, WINDOW)), reach + WINDOW)
+                for salt, offsets in enumerate(shapes):
+                    if items and not (len(ids) >= WINDOW if salt < len(MASKS) else SHORTEST <= len(ids) < WINDOW):
+                        continue
+                    h = seeds(ids, offsets, salt)
+                    at = np.arange(len(h)) if items else np.flatnonzero(bitmap.value[h >> np.uint64(64 - bits)])
+                    for part in np.split(at, range(FLUSH, len(at), FLUSH)):
+                        held.append((k.as_py(), h[part], part, views[part]))
+                        n += len(part)
+                        if n >= FLUSH:
+                            yield batch(held)
+                            held, n = [], 0
+        if n:
+            yield batch(held)
+
+    return rows.mapInArrow(told, SEEDS)
+
+
+def _promising(a: pd.Series, b: pd.Series) -> pd.Series:
+    """Whether the words around two equal seeds agree enough in some window that holds the seed's first word. Zeros are
+    beyond an end and equal nothing; items shorter than a window have fewer words to agree in."""
+    x, y = np.stack(a.to_numpy()), np.stack(b.to_numpy())
+    sums = np.cumsum(np.pad((x == y) & (x != 0), ((0, 0), (1, 0))), axis=1)
+    best = (sums[:, WINDOW:] - sums[:, :-WINDOW]).max(axis=1)
+    return pd.Series(best >= AGREE * np.minimum(WINDOW, (y != 0).sum(axis=1)))
+
+
+def _bitmap_of(seeded: DataFrame, bits: int) -> np.ndarray:
+    """One bit in 2^bits for each seed; at most 2^bits / 64 words come to the driver, whatever the number of seeds."""
+    top = F.shiftrightunsigned("seed", 64 - bits)
+    words = seeded.select(F.shiftright(top, 6).alias("w"), F.expr("shiftleft(1L, cast(shiftrightunsigned(seed, %d) & 63 as int))" % (64 - bits)).alias("v"))
+    out = np.zeros(1 << (bits - 6), np.uint64)
+    for r in words.groupBy("w").agg(F.bit_or("v").alias("v")).toLocalIterator():
+        out[r.w] = np.uint64(r.v & (2**64 - 1))
+    return np.unpackbits(out.view(np.uint8), bitorder="little").astype(bool)
+
+
+def _by_join(docs: DataFrame, items: DataFrame) -> DataFrame:
+    """HITS of documents and items (k, t), by a join of their seeds."""
+    spark = docs.sparkSession
+    known = staged(_seeded(items, True), "benchmark-seeds")
+    bits = max(16, min(MOST_BITS, int(known.count() * 16).bit_length()))
+    sent = spark.sparkContext.broadcast(_bitmap_of(known, bits))
+    found = _seeded(docs, False, bits, sent).join(known.select(F.col("id").alias("item_id"), "seed", F.col("at").alias("q"), F.col("around").alias("other")), "seed")
+    promising = F.pandas_udf(_promising, "boolean")
+    pairs = found.where(promising("around", "other")).select(F.col("id").alias("doc_id"), "item_id", (F.col("at") - F.col("q")).alias("d")).distinct()
+    pairs = staged(pairs.groupBy("doc_id", "item_id").agg(F.collect_set("d").alias("ds")), "benchmark-pairs")
+
+    def verified(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            rows = []
+            for k, i, ds, t, u in zip(b["doc_id"], b["item_id"], b["ds"], b["t"], b["u"], strict=True):
+                ids, item = word_ids(t), word_ids(u)
+                got = [x for x in (stretch(ids, item, int(d)) for d in ds) if x]
+                if got:
+                    rows.append((k, i, *max(got, key=lambda x: (x[2], -x[0]))))
+            yield pd.DataFrame(rows, columns=["doc_id", "item_id", "first_word", "n_words", "n_equal"])
+
+    texts = pairs.join(items.select(F.col("k").alias("item_id"), F.col("t").alias("u")), "item_id")
+    return docs.select(F.col("k").alias("doc_id"), "t").join(texts, "doc_id").mapInPandas(verified, HITS)
+
+
 def leaks(docs: DataFrame, benchmark: DataFrame, text: str = "text", key: str = "doc_id", item_key: str = "item_id", item_text: str = "text", block: int = BLOCK_ITEMS) -> DataFrame:
-    """(doc_id, item_id, first_word, n_words, n_equal) for every document and item that overlap."""
+    """(doc_id, item_id, first_word, n_words, n_equal) for every document and item that overlap. Items beyond the number
+    block are met by a join, for which the ids of documents and of items must each tell their rows apart, but for nulls:
+    rows without an id, and those of an id that repeats, are numbered first."""
     spark = docs.sparkSession
     ship(spark)
-    schema, out = "doc_id long, item_id long, first_word long, n_words long, n_equal long", None
+    rows = docs.select(whole_id(key).alias("k"), F.col(text).alias("t"))
+    items = benchmark.where(F.col(item_key).isNotNull())
+    if len(items.select(item_key).take(block + 1)) > block:
+        numbered = staged(rows.select("k", F.monotonically_increasing_id().alias("n"), "t"), "numbered-documents")
+        asked = staged(items.select(F.col(item_key).alias("i"), F.monotonically_increasing_id().alias("n"), F.col(item_text).alias("t")), "numbered-items")
+        found = _by_join(numbered.select(F.col("n").alias("k"), "t"), asked.select(F.col("n").alias("k"), "t"))
+        found = found.join(asked.select(F.col("n").alias("item_id"), "i"), "item_id").drop("item_id").join(numbered.select(F.col("n").alias("doc_id"), "k"), "doc_id")
+        best = found.groupBy(F.col("doc_id").alias("n"), "k", "i").agg(F.max_by(F.struct("first_word", "n_words", "n_equal"), F.struct("n_equal", -F.col("first_word"))).alias("x"))
+        return best.select(given_id("k").alias("doc_id"), F.col("i").cast("long").alias("item_id"), "x.first_word", "x.n_words", "x.n_equal")
+    out = None
     for index in item_blocks(benchmark, item_key, item_text, block):
         sent = spark.sparkContext.broadcast(index)
 
@@ -162,9 +271,8 @@ def leaks(docs: DataFrame, benchmark: DataFrame, text: str = "text", key: str =
                 rows = [(k, *x) for k, t in zip(b["k"], b["t"], strict=True) for x in sent.value.overlaps(t)]
                 yield pd.DataFrame(rows, columns=["doc_id", "item_id", "first_word", "n_words", "n_equal"])
 
-        part = docs.select(whole_id(key).alias("k"), F.col(text).alias("t")).mapInPandas(scan, schema).withColumn("doc_id", given_id("doc_id"))
-        out = part if out is None else out.unionByName(part)
-    return out if out is not None else spark.createDataFrame([], schema)
+        out = rows.mapInPandas(scan, HITS).withColumn("doc_id", given_id("doc_id"))
+    return out if out is not None else spark.createDataFrame([], HITS)
 
 
 def op5_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -183,8 +291,14 @@ def _clean(index: SeedIndex, spark: SparkSession):
 
 
 def decontaminate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The documents that overlap no benchmark item; each is judged where it lies, without a join."""
+    """The documents that overlap no benchmark item; each is judged where it lies, without a join, unless the items are
+    more than BLOCK_ITEMS: then rows are numbered, and those of a leak are taken out by their number."""
     ship(spark)
-    for index in item_blocks(table(spark, sf_dir, "benchmark"), "item_id", "text", BLOCK_ITEMS):
+    benchmark = table(spark, sf_dir, "benchmark")
+    if len(benchmark.where("item_id is not null").take(BLOCK_ITEMS + 1)) > BLOCK_ITEMS:
+        numbered = staged(docs.select(F.struct(*docs.columns).alias("row"), F.monotonically_increasing_id().alias("n")), "numbered-documents")
+        gone = staged(leaks(numbered.select("n", F.col("row.text").alias("text")), benchmark, key="n").select(F.col("doc_id").alias("n")).distinct(), "leaks")
+        return numbered.join(small(gone), "n", "left_anti").select("row.*")
+    for index in item_blocks(benchmark, "item_id", "text", BLOCK_ITEMS):
         docs = docs.where(_clean(index, spark)("text"))
     return docs

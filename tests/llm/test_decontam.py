@@ -1,5 +1,7 @@
+import math
 import random
 import string
+from itertools import combinations
 
 import numpy as np
 
@@ -50,9 +52,8 @@ def test_against_all_alignments(spark, monkeypatch):
     want = {(i, j) for i, d in enumerate(docs) for j, t in enumerate(items) if brute(d, t)}
     df = spark.createDataFrame([*enumerate(docs), (900, None), (901, "")], "doc_id long, text string").selectExpr("*", "1 as item_id")
     bench = spark.createDataFrame([*enumerate(items), (50, None), (51, ""), (None, items[-1])], "item_id long, text string")
-    for block in (20_000, 3):
-        got = {(r.doc_id, r.item_id) for r in leaks(df, bench, block=block).collect()}
-        assert got == want
+    looked_up, joined = (sorted(map(tuple, leaks(df, bench, block=block).collect())) for block in (20_000, 3))
+    assert {x[:2] for x in looked_up} == want and joined == looked_up
     assert leaks(df, bench.limit(0)).count() == 0 and leaks(df.limit(0), bench).count() == 0
 
 
@@ -70,14 +71,29 @@ def test_substitutions_are_found():
     assert index.overlaps(" ".join(sentence(2000))) == [] and index.overlaps(None) == []
 
 
+def fits(masks, n, changed):
+    """Whether some mask lies in n words beside those changed."""
+    return any(all(s + o not in changed for o in decontam._offsets(m)) for m in masks for s in range(n - len(m) + 1))
+
+
+def test_every_pattern_of_changes_leaves_a_seed():
+    for n in range(decontam.SHORTEST, decontam.WINDOW + 1):
+        masks = MASKS if n == decontam.WINDOW else decontam.SHORT_MASKS
+        most = n - math.ceil(decontam.AGREE * n - 1e-9)
+        assert all(fits(masks, n, x) for k in range(most + 1) for x in combinations(range(n), k)), n
+
+
 def test_masks():
     every = (*MASKS, *decontam.SHORT_MASKS)
-    assert all(m[0] == m[-1] == "1" for m in every) and any("0" in m for m in MASKS)
-    assert len(np.unique([decontam.seeds(word_ids("a b c d e f g h i j k l"), decontam._offsets(m), k)[0] for k, m in enumerate(every)])) == 5
+    assert all(m[0] == m[-1] == "1" for m in every) and all("0" in m for m in every)
+    assert len(np.unique([decontam.seeds(word_ids("a b c d e f g h i j k l"), decontam._offsets(m), k)[0] for k, m in enumerate(every)])) == 4
 
 
-def test_stage_and_given_tables(spark, sf_dir):
+def test_stage_and_given_tables(spark, sf_dir, monkeypatch):
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     hit = {r.doc_id for r in leaks(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet")).collect()}
     kept = decontaminate_stage(spark, docs, sf_dir)
+    monkeypatch.setattr(decontam, "BLOCK_ITEMS", 3)
+    joined = decontaminate_stage(spark, docs, sf_dir)
+    assert joined.columns == docs.columns and sorted(r.doc_id for r in joined.collect()) == sorted(r.doc_id for r in kept.collect())
     assert kept.columns == docs.columns and {r.doc_id for r in kept.collect()} == {r.doc_id for r in docs.select("doc_id").collect()} - hit

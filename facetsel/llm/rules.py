@@ -2,10 +2,14 @@
 
 Base rules count words, characters, symbols, repeated lines and repeated three-word windows. The fertility rule measures,
 under a public vocabulary, characters per token, the share of byte-fallback tokens and the entropy of the tokens, and
-rejects a text outside the band of its language (or of its main script where the language has no band).
+rejects a text outside the bands of its language, or of its main script where the language has none. There are two bands:
+a wide one of fixed values, and one that the table itself gives, fences FENCE interquartile ranges beyond the quartiles of
+all texts that pass the base rules. A language needs LEAST_ROWS such texts for fences, or else goes by its script's; where
+these are too few as well, the wide band decides alone. Quartiles are exact, of measures rounded to thousandths.
 
 Defined results: a null text has no words, fails the base rules and has zero measures; null or unknown languages go by
-script; a null id stays null; repeated rows give repeated rows; other columns are ignored. Whole texts, one pass, no shuffle."""
+script; a null id stays null; repeated rows give repeated rows, and count as often for the quartiles; other columns are
+ignored. Whole texts, read once; what is measured of them, a few numbers a row, is staged."""
 
 from __future__ import annotations
 
@@ -18,11 +22,13 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from facetsel.llm.common import given_id, ship, table, whole_id
+from facetsel.llm.common import given_id, ship, small, staged, table, whole_id
 from facetsel.llm.tokens import MODEL, model_path
 
 SYMBOLS, SPACES = b"#*$%&|<>", b" \t\n\v\f\r"
 LEAST_WORDS, MOST_REPEATED_PERCENT = 50, 50
+#: Far outliers, as box plots have them; texts that quartiles are taken of.
+FENCE, LEAST_ROWS = 3.0, 200
 
 # Bands by language, then by script; least and most characters per token, most share of byte-fallback
 # tokens, least entropy in bits a token relative to the most that so many tokens can have.
@@ -110,17 +116,31 @@ def judge(text: str | None, lang: str | None, pieces: _Pieces, bands: dict = BAN
     n, chars, symbols, dup, rep = base_counts(text)
     failed = n < LEAST_WORDS or 100 * rep > MOST_REPEATED_PERCENT * n
     tokens, per, byte, entropy = fertility(text or "", pieces)
-    band = lang if lang in bands else _main_script(text or "")
+    script = _main_script(text or "")
+    band = lang if lang in bands else script
     low, high, most_bytes, least_entropy = bands[band]
     kept = not failed and low <= per <= high and byte <= most_bytes and entropy >= least_entropy
-    return n, chars, symbols, dup, rep, failed, kept, tokens, per, byte, entropy, band
+    return n, chars, symbols, dup, rep, failed, kept, tokens, per, byte, entropy, band, lang, script
 
 
-SCHEMA = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, kept boolean, n_tokens long, chars_per_token double, byte_share double, entropy double, band string"
+SCHEMA = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, kept boolean, n_tokens long, chars_per_token double, byte_share double, entropy double, band string, lang string, script string"
 
 
-def quality_rules(docs: DataFrame, text: str = "text", key: str = "doc_id", lang: str = "lang", model: str = MODEL, bands: dict = BANDS) -> DataFrame:
-    """Base counts, fertility measures and the verdict of every row."""
+def _fences(measured: DataFrame, by: str, fence: float, least: int) -> DataFrame:
+    """(by, fence_<by>): the least and most characters per token, the most byte share and the least entropy, of each
+    language or script with so many texts that pass the base rules."""
+    quartiles = lambda c: F.percentile(F.round(c, 3), F.array(F.lit(0.25), F.lit(0.75)))
+    of = measured.where(~F.col("base_failed") & F.col(by).isNotNull()).groupBy(by)
+    got = of.agg(F.count("*").alias("n"), *[quartiles(c).alias(c) for c in ("chars_per_token", "byte_share", "entropy")]).where(F.col("n") >= least)
+    low = lambda c: F.col(c)[0] - fence * (F.col(c)[1] - F.col(c)[0])
+    high = lambda c: F.col(c)[1] + fence * (F.col(c)[1] - F.col(c)[0])
+    told = F.struct(low("chars_per_token").alias("low"), high("chars_per_token").alias("high"), high("byte_share").alias("most_bytes"), low("entropy").alias("least_entropy"))
+    return staged(got.select(by, told.alias(f"fence_{by}")), f"fences-{by}")
+
+
+def quality_rules(docs: DataFrame, text: str = "text", key: str = "doc_id", lang: str = "lang", model: str = MODEL, bands: dict = BANDS, fence: float = FENCE, least: int = LEAST_ROWS) -> DataFrame:
+    """Base counts, fertility measures, the fences that held and the verdict of every row. fenced is true where a text
+    that passes the base rules and the wide band lies beyond the fences."""
     ship(docs.sparkSession)
 
     def measured(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -132,8 +152,22 @@ def quality_rules(docs: DataFrame, text: str = "text", key: str = "doc_id", lang
             rows = [(k, *rules.judge(t, g, pieces, bands)) for k, t, g in zip(b["k"], b["t"], b["g"], strict=True)]
             yield pd.DataFrame(rows, columns=names)
 
-    out = docs.select(whole_id(key).alias("k"), F.col(text).alias("t"), F.col(lang).alias("g")).mapInPandas(measured, SCHEMA)
-    return out.withColumn("doc_id", given_id("doc_id"))
+    rows = staged(docs.select(whole_id(key).alias("k"), F.col(text).alias("t"), F.col(lang).alias("g")).mapInPandas(measured, SCHEMA), "fertility")
+    out = rows
+    for by in ("lang", "script"):
+        out = out.join(small(_fences(rows, by, fence, least)), by, "left")
+    held = F.coalesce("fence_lang", "fence_script")
+    within = F.col("chars_per_token").between(held["low"], held["high"]) & (F.col("byte_share") <= held["most_bytes"]) & (F.col("entropy") >= held["least_entropy"])
+    out = out.withColumn("fenced", F.col("kept") & ~F.coalesce(within, F.lit(True))).withColumn("kept", F.col("kept") & ~F.col("fenced"))
+    names = [x.split()[0] for x in SCHEMA.split(", ") if x.split()[0] not in ("doc_id", "lang", "script")]
+    return out.select(given_id("doc_id").alias("doc_id"), *names, "script", held.alias("fence"), "fenced")
+
+
+def band_rates(rules: DataFrame) -> DataFrame:
+    """(band, n, base_failed, outside_band, outside_fence, kept): how many texts of a band each rule turns away."""
+    one = lambda c: F.sum(c.cast("long"))
+    wide = ~F.col("base_failed") & ~F.col("kept") & ~F.col("fenced")
+    return rules.groupBy("band").agg(F.count("*").alias("n"), one(F.col("base_failed")).alias("base_failed"), one(wide).alias("outside_band"), one(F.col("fenced")).alias("outside_fence"), one(F.col("kept")).alias("kept"))
 
 
 def op9_rules(spark: SparkSession, sf_dir: str) -> DataFrame:

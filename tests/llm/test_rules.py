@@ -127,6 +127,7 @@ def test_empty_table(spark):
 def test_shuffled_letters(spark):
     r = random.Random(5)
     english = "people often walk through the market before breakfast because morning light makes every colour brighter and children laugh while their parents choose fresh vegetables from wooden tables near old stone houses under green trees where birds sing about another summer that will surely return after long winter nights without much snow or rain".split()
+    english += "the of and to a in is it he was on as at by we be an so up if".split() * 2
     good = [" ".join(r.choice(english) for _ in range(120)) for _ in range(300)]
     bad = [" ".join("".join(r.sample(w, len(w))) for w in t.split()) for t in good[:20]]
     got = {x.doc_id: x for x in quality_rules(spark.createDataFrame([(i, t, "en") for i, t in enumerate(good + bad)], "doc_id long, text string, lang string")).collect()}

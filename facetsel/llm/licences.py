@@ -1,8 +1,9 @@
 """Licence scans by the Dice coefficient over word bigrams.
 
 A text is normalised (lower case; everything but letters and digits parts words) and cut into units: its lines, its
-paragraphs where it has blank lines, and the text as a whole; for templates that none of these match, the runs of
-neighbouring lines, blank ones left out, of which the best counts as one unit for each line that one begins with. A unit matches a template if twice the number of their
+paragraphs where it has blank lines, and the text as a whole; for templates that none of these match, windows slide over
+the running words, of any length up to the size bound in bigrams, and count as units where they lie a template's size
+apart. A unit matches a template if twice the number of their
 common distinct word bigrams is at least DICE of the sum of their numbers of distinct bigrams. Two bounds follow from
 that and prune without loss: the sizes must be in the ratio DICE/(2-DICE) at least, and a unit must hold so many of the
 template's bigrams that it holds a word of any selection of all but so many of them; the longest words are selected.
@@ -85,35 +86,44 @@ def words_of(text: Column) -> Column:
 
 
 def _pairs(w: Column) -> Column:
-    return F.array_distinct(F.zip_with(F.slice(w, 1, F.greatest(F.size(w) - 1, F.lit(0))), F.slice(w, 2, F.size(w)), lambda a, b: F.concat(a, F.lit(" "), b)))
+    return F.zip_with(F.slice(w, 1, F.greatest(F.size(w) - 1, F.lit(0))), F.slice(w, 2, F.size(w)), lambda a, b: F.concat(a, F.lit(" "), b))
 
 
-def _runs(docs: DataFrame, known: Column, telling: list[str], dice: float) -> DataFrame:
-    """(doc_id, licence, dice): the best run of lines from each line on, of texts that hold enough of a template's bigrams
-    for any unit to match. A best run begins with a line that holds one of them, and a run ends where it has too many."""
-    cut = docs.where(F.contains("t", F.lit("\n"))).select("doc_id", F.explode(F.array(F.split("t", "\n"))).alias("lines"))
-    cut = cut.select("doc_id", F.explode(F.array(F.filter(F.transform("lines", words_of), lambda w: F.size(w) > 0))).alias("lines"))
-    cut = cut.where(F.size("lines") > 1).select("doc_id", "lines", F.flatten("lines").alias("w")).where(F.arrays_overlap("w", F.array(*map(F.lit, telling))))
-    cut = cut.select("doc_id", "lines", F.explode(F.array(_pairs(F.col("w")))).alias("b"))
+def _windows(docs: DataFrame, known: Column, telling: list[str], dice: float) -> DataFrame:
+    """(doc_id, licence, dice, n): the best window of each text (doc_id, t) and template, and how many places match, of texts
+    that hold enough of a template's bigrams for any unit to match.
+
+    A best window begins with a bigram of the template, and holds so many of them that those from its first one on must
+    lie close together; few places pass this. Arrays of one element are exploded so that a thing is computed once."""
+    cut = docs.select("doc_id", F.explode(F.array(words_of(F.col("t")))).alias("w")).where(F.arrays_overlap("w", F.array(*map(F.lit, telling))))
+    cut = cut.select("doc_id", F.explode(F.array(_pairs(F.col("w")))).alias("g"))
+    cut = cut.select("doc_id", "g", F.explode(F.array(F.array_distinct("g"))).alias("b"))
     held = F.filter(known, lambda x: F.size(F.array_intersect(x["b"], F.col("b"))) >= dice / (2 - dice) * F.size(x["b"]) - 1e-9)
-    cut = cut.select("doc_id", "lines", F.explode(held).alias("x")).select("doc_id", "lines", F.col("x.licence").alias("licence"), F.col("x.b").alias("tb"))
-    cut = cut.select("*", F.posexplode("lines").alias("i", "line"))
-    cut = cut.where(F.arrays_overlap(_pairs(F.concat("line", F.slice(F.coalesce(F.get("lines", F.col("i") + 1), F.array().cast("array<string>")), 1, 1))), "tb"))
+    cut = cut.select("doc_id", "g", F.explode(held).alias("x")).select("doc_id", "g", F.col("x.licence").alias("licence"), F.col("x.b").alias("tb"))
+    places = F.filter(F.transform("g", lambda x, i: F.when(F.array_contains("tb", x), i)), F.isnotnull)
+    cut = cut.select("*", F.explode(F.array(places)).alias("at"))
+    most = F.floor((2 - dice) / dice * F.size("tb") + 1e-9).cast("int")
+    need = F.ceil(dice / (2 - dice) * F.size("tb") - 1e-9).cast("int")
+    begins = F.filter("at", lambda i, k: F.coalesce(F.get("at", k + need - 1) - i < most, F.lit(False)))
+    cut = cut.select("*", F.explode(F.array(begins)).alias("begins")).where(F.size("begins") > 0)
 
-    def state(last: Column, b: Column, best: Column, full: Column) -> Column:
-        return F.struct(last.alias("last"), b.alias("b"), best.alias("best"), full.alias("full"))
+    def state(seen: Column, common: Column, best: Column) -> Column:
+        return F.struct(seen.alias("seen"), common.alias("common"), best.alias("best"))
 
-    def longer(run: Column, w: Column) -> Column:
-        def told(b: Column) -> Column:
-            now = 2.0 * F.size(F.array_intersect(b, F.col("tb"))) / (F.size(b) + F.size("tb"))
-            too_many = F.size(b) > (2 - dice) / dice * F.size("tb") + 1e-9
-            return F.when(too_many, state(run["last"], run["b"], run["best"], F.lit(True))).otherwise(state(F.slice(w, -1, 1), b, F.greatest(run["best"], now), F.lit(False)))
+    def longer(window: Column, x: Column) -> Column:
+        seen, common = F.array_append(window["seen"], x), window["common"] + F.array_contains("tb", x).cast("int")
+        now = 2.0 * common / (F.size(window["seen"]) + 1 + F.size("tb"))
+        return F.when(F.array_contains(window["seen"], x), window).otherwise(state(seen, common, F.greatest(window["best"], now)))
 
-        return F.when(run["full"], run).otherwise(F.get(F.transform(F.array(F.array_union(run["b"], _pairs(F.concat(run["last"], w)))), told), F.lit(0)))
+    def best(i: Column) -> Column:
+        return F.aggregate(F.slice("g", i + 1, most), state(F.array().cast("array<string>"), F.lit(0), F.lit(0.0)), longer)["best"]
 
-    none = F.array().cast("array<string>")
-    run = F.aggregate(F.slice("lines", F.col("i") + 1, F.size("lines")), state(none, none, F.lit(0.0), F.lit(False)), longer)
-    return cut.select("doc_id", "licence", run["best"].alias("dice"))
+    found = F.filter(F.transform("begins", lambda i: F.struct(best(i).alias("dice"), i.alias("i"))), lambda x: x["dice"] >= dice)
+    cut = cut.select("doc_id", "licence", "tb", F.explode(F.array(found)).alias("found")).where(F.size("found") > 0)
+    none = F.struct(F.lit(0).alias("n"), F.lit(None).cast("int").alias("last"))
+    apart = lambda s, x: F.coalesce(x["i"] - s["last"] >= F.size("tb"), F.lit(True))
+    counted = F.aggregate("found", none, lambda s, x: F.when(apart(s, x), F.struct((s["n"] + 1).alias("n"), x["i"].alias("last"))).otherwise(s))
+    return cut.select("doc_id", "licence", F.array_max("found")["dice"].alias("dice"), counted["n"].cast("long").alias("n"))
 
 
 def scan(docs: DataFrame, templates: dict[str, str] = TEMPLATES, dice: float = DICE, text: str = "text", key: str = "doc_id") -> DataFrame:
@@ -127,15 +137,15 @@ def scan(docs: DataFrame, templates: dict[str, str] = TEMPLATES, dice: float = D
     units = F.concat(F.split(t, "\n"), F.when(F.contains(t, F.lit("\n\n")), F.split(t, r"\n\s*\n")).otherwise(F.array().cast("array<string>")), F.when(F.contains(t, F.lit("\n")), F.array(t)).otherwise(F.array().cast("array<string>")))
     held = docs.where(t.isNotNull()).select(F.col(key).alias("doc_id"), F.explode(units).alias("unit")).select("doc_id", words_of(F.col("unit")).alias("w"))
     held = held.where(F.arrays_overlap("w", F.array(*map(F.lit, telling))))
-    pairs = F.array_distinct(F.zip_with(F.slice("w", 1, F.size("w") - 1), F.slice("w", 2, F.size("w")), lambda a, b: F.concat(a, F.lit(" "), b)))
-    held = held.where(F.size("w") > 1).select("doc_id", pairs.alias("b"))
+    held = held.where(F.size("w") > 1).select("doc_id", F.array_distinct(_pairs(F.col("w"))).alias("b"))
     known = F.array(*[F.struct(F.lit(k).alias("licence"), F.array(*map(F.lit, b)).alias("b")) for k, b in sorted(grams.items())])
     fits = F.filter(known, lambda x: (F.size(x["b"]) >= dice / (2 - dice) * F.size("b") - 1e-9) & (F.size("b") >= dice / (2 - dice) * F.size(x["b"]) - 1e-9))
     near = held.select("doc_id", "b", F.explode(fits).alias("x"))
     near = near.select("doc_id", F.col("x.licence").alias("licence"), (2.0 * F.size(F.array_intersect("b", "x.b")) / (F.size("b") + F.size("x.b"))).alias("dice"))
-    near = near.select("*", F.lit(False).alias("is_run")).unionByName(_runs(docs.select(F.col(key).alias("doc_id"), t.alias("t")), known, telling, dice).select("*", F.lit(True).alias("is_run")))
-    best = near.where(F.col("dice") >= dice).groupBy("doc_id", "licence", "is_run").agg(F.max("dice").alias("dice"), F.count("*").alias("n_units"))
-    first = best.groupBy("doc_id", "licence").agg(F.min_by(F.struct("dice", "n_units"), "is_run").alias("x"))
+    slid = _windows(docs.select(F.col(key).alias("doc_id"), t.alias("t")), known, telling, dice)
+    near = near.select("*", F.lit(1).cast("long").alias("n"), F.lit(False).alias("slid")).unionByName(slid.select("*", F.lit(True).alias("slid")))
+    best = near.where(F.col("dice") >= dice).groupBy("doc_id", "licence", "slid").agg(F.max("dice").alias("dice"), F.sum("n").alias("n_units"))
+    first = best.groupBy("doc_id", "licence").agg(F.min_by(F.struct("dice", "n_units"), "slid").alias("x"))
     return first.select("doc_id", "licence", "x.dice", "x.n_units")
 
 

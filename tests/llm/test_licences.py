@@ -16,6 +16,27 @@ def brute(text):
             if b and (d := 2 * len(b & tb) / (len(b) + len(tb))) >= DICE:
                 best, n = out.get(name, (0, 0))
                 out[name] = (max(best, d), n + 1)
+    return {**windows(text), **out}
+
+
+def windows(text):
+    """All windows of the running words, up to the size bound."""
+    w, out = re.findall(r"[^\W_]+", text.lower()), {}
+    g = [f"{x} {y}" for x, y in zip(w, w[1:], strict=False)]
+    for name, t in TEMPLATES.items():
+        tb, best, n, last = set(template_bigrams(t)), 0, 0, None
+        for i in range(len(g)) if len(tb & set(g)) > 0.6 * len(tb) else ():
+            if g[i] in tb:
+                seen, top = set(), 0
+                for x in g[i : i + int((2 - DICE) / DICE * len(tb) + 1e-9)]:
+                    seen.add(x)
+                    top = max(top, 2 * len(seen & tb) / (len(seen) + len(tb)))
+                if top >= DICE:
+                    best = max(best, top)
+                    if last is None or i - last >= len(tb):
+                        n, last = n + 1, i
+        if n:
+            out[name] = (best, n)
     return out
 
 
@@ -24,6 +45,9 @@ def docs():
     mit = TEMPLATES["mit"]
     out += [(100, f"Copyright 2020 Some One\n\n{mit}\n\nmore"), (101, mit.replace("Software", "Program")), (102, mit[: len(mit) // 3]), (103, "Released under the MIT license\nReleased under the MIT License!"), (104, "We were released under the stars."), (105, ""), (106, "license"), (107, "x " * 5000 + "license")]
     out += [(108, "\n".join(TEMPLATES["isc"].split(". "))), (109, TEMPLATES["apache-2.0 header"].upper())]
+    prose = " ".join(f"word{i}" for i in range(300))
+    out += [(110, f"{prose}. Released under the MIT License. {prose} and released under the M.I.T. or MIT license (which is no such notice) {prose}"), (111, f"{prose} {mit} {prose}\n{prose}")]
+    out += [(112, f"{prose} {' '.join(mit.split()[20:-30])} {prose}"), (113, f"{prose} Released under the {prose} MIT License"), (114, "All rights reserved. Do not copy or distribute. " * 3 + prose)]
     return out
 
 
@@ -77,3 +101,12 @@ def test_long_units_of_few_bigrams(spark):
     """A notice again and again in one line has the bigrams of one, whatever its length."""
     t = " ".join(["Released under the MIT License."] * 700)
     assert {r.licence: (r.dice, r.n_units) for r in scan(spark.createDataFrame([(1, t)], "doc_id long, text string")).collect()} == brute(t)
+
+
+def test_licences_in_running_text(spark):
+    """Wrapped between prose lines, or inside one line: found as what they are, and counted by place."""
+    got = {}
+    for r in scan(spark.createDataFrame([x for x in docs() if x[0] >= 110], "doc_id long, text string")).collect():
+        got.setdefault(r.doc_id, {})[r.licence] = (r.dice, r.n_units)
+    assert got[110]["mit notice"] == (1, 1) and got[111] == {"mit": (1, 1)} and 113 not in got
+    assert 0.8 <= got[112]["mit"][0] < 1 and got[114]["proprietary notice"] == (1, 3)

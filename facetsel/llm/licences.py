@@ -154,7 +154,7 @@ def op8_licences(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _sql() -> str:
-    """All units against all templates, without the bounds."""
+    """All units against all templates of a size that can match."""
     rows = ", ".join("('{}', [{}])".format(k, ", ".join(f"'{b}'" for b in template_bigrams(v))) for k, v in TEMPLATES.items())
     return rf"""
 WITH t(licence, tb) AS (VALUES {rows}),
@@ -162,12 +162,11 @@ u AS (
   SELECT doc_id, unnest(list_concat(string_split(text, chr(10)),
          CASE WHEN contains(text, chr(10) || chr(10)) THEN regexp_split_to_array(text, '\n\s*\n') ELSE [] END,
          CASE WHEN contains(text, chr(10)) THEN [text] ELSE [] END)) AS unit FROM documents WHERE text IS NOT NULL),
-w AS (SELECT doc_id, list_filter(regexp_split_to_array(lower(unit), '[^\p{{L}}\p{{N}}]+'), lambda x: x <> '') AS w FROM u WHERE length(unit) < 20000),
-b AS (SELECT doc_id, list_distinct(list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1])) AS b FROM w WHERE len(w) > 1 AND len(w) < 2000),
-d AS (SELECT doc_id, licence, 2.0 * len(list_intersect(b, tb)) / (len(b) + len(tb)) AS dice FROM b, t)
+w AS (SELECT doc_id, list_filter(regexp_split_to_array(lower(unit), '[^\p{{L}}\p{{N}}]+'), lambda x: x <> '') AS w FROM u),
+b AS (SELECT doc_id, list_distinct(list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1])) AS b FROM w WHERE len(w) > 1),
+d AS (SELECT doc_id, licence, 2.0 * len(list_intersect(b, tb)) / (len(b) + len(tb)) AS dice FROM b, t WHERE least(len(b), len(tb)) >= {DICE / (2 - DICE)} * greatest(len(b), len(tb)) - 1e-9)
 SELECT doc_id, licence, CAST(max(dice) AS DOUBLE) AS dice, count(*) AS n_units FROM d WHERE dice >= {DICE} GROUP BY ALL
 """
 
 
-#: Units of 2,000 words or more hold over 500 distinct bigrams in the given tables, too many for any template.
 OP8_SQL = _sql()

@@ -22,9 +22,15 @@ from facetsel.plans.selection import score_stack
 
 
 def arriving(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    """The table's files as a stream, with the schema of those already there."""
-    schema = spark.read.parquet(f"{sf_dir}/{name}.parquet").schema
-    return spark.readStream.schema(schema).option("pathGlobFilter", f"{name}*.parquet").parquet(sf_dir)
+    """The table's files as a stream, with the schema of those already there. A table is a folder of files, whatever their
+    names, or one file beside others of its name; listing asks the path's own file system, which may be a remote one."""
+    path = f"{sf_dir.rstrip('/')}/{name}.parquet"
+    schema = spark.read.parquet(path).schema
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    stream = spark.readStream.schema(schema)
+    if at.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).getFileStatus(at).isDirectory():
+        return stream.parquet(path)
+    return stream.option("pathGlobFilter", f"{name}*.parquet").parquet(sf_dir)
 
 
 def settled(stream: DataFrame, mode: str) -> DataFrame:

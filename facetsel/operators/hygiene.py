@@ -7,7 +7,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from facetsel.functions.graph import bucket_pairs, components
-from facetsel.functions.session import kept
+from facetsel.functions.session import kept, released
 from facetsel.operators.baselines import tokens
 
 SHINGLE, SIMILAR, SHARED = 5, 0.8, 8
@@ -22,25 +22,51 @@ def shingles(texts: DataFrame, key: str, text: str, size: int) -> DataFrame:
     return at.where((F.col("i") + size <= F.size("t")) | (F.col("i") == 0)).select("id", run.alias("h")).distinct()
 
 
+def sets_of(pool: DataFrame, key: str, text: str, size: int) -> DataFrame:
+    """(id, s): the sorted distinct hashes of shingles(), built where the text lies; only rows of an id that repeats are
+    brought together."""
+    cut = pool.select(F.col(key).alias("id"), F.explode(F.array(tokens(F.col(text)))).alias("t")).where(F.size("t") > 0)
+    run = lambda i: F.xxhash64(*[F.get("t", i + k) for k in range(size)])
+    starts = F.sequence(F.lit(0), F.greatest(F.size("t") - size, F.lit(0)))
+    rows = kept(cut.select("id", F.sort_array(F.array_distinct(F.transform(starts, run))).alias("s")), "sets")
+    again = rows.groupBy("id").agg(F.count("*").alias("n")).where("n > 1").select("id")
+    if again.isEmpty():
+        return rows
+    again = kept(again, "again")
+    one = rows.join(again, "id").groupBy("id").agg(F.sort_array(F.array_distinct(F.flatten(F.collect_list("s")))).alias("s"))
+    out = kept(rows.join(again, "id", "left_anti").unionByName(one), "sets")
+    released(rows, again)
+    return out
+
+
 def near_duplicates(pool: DataFrame, key: str = "instance_id", text: str = "body", similar: float = SIMILAR) -> DataFrame:
     """(id, component, stays) of every row with tokens: sets of runs of five tokens whose Jaccard similarity is reached are
     linked; of each connected group the least id stays.
 
     No link is lost: of two sets that are similar enough, the first n - ceil(similar * n) + 1 runs by hash hold a common
     one, so only these are keys, a fifth of all. Equal sets are one node. Pairs are verified on the full sets."""
-    sets = shingles(pool, key, text, SHINGLE).groupBy("id").agg(F.sort_array(F.collect_set("h")).alias("s"))
-    sets = kept(sets.select("id", "s", F.xxhash64("s").alias("d1"), F.xxhash64(F.lit(7), F.col("s")).alias("d2")), "sets")
-    same = kept(sets.groupBy("d1", "d2").agg(F.min("id").alias("rep")), "same")
-    owned = kept(sets.select("id", "d1", "d2").join(same, ["d1", "d2"]).select("id", "rep"), "owned")
-    reps = kept(sets.join(owned.where("id = rep").select("id"), "id").select("id", "s"), "reps")
+    sets = sets_of(pool, key, text, SHINGLE)
+    told = kept(sets.select("id", F.size("s").alias("n"), F.xxhash64("s").alias("d1"), F.xxhash64(F.lit(7), F.col("s")).alias("d2")), "digests")
+    same = kept(told.groupBy("d1", "d2").agg(F.min("id").alias("rep")), "same")
+    owned = kept(told.join(same, ["d1", "d2"]).select("id", "rep", "n"), "owned")
+    released(told, same)
     head = F.slice("s", F.lit(1), (F.size("s") - F.ceil(F.size("s") * similar - 1e-9) + 1).cast("int"))
-    entries = kept(reps.select("id", F.explode(head).alias("bucket")), "heads")
+    heads = sets.select("id", head.alias("head")).join(owned.where("id = rep").select("id"), "id", "left_semi")
+    entries = kept(heads.select("id", F.explode("head").alias("bucket")), "heads")
 
     def verified(pairs: DataFrame) -> DataFrame:
-        side = lambda c: reps.select(F.col("id").alias(c), F.col("s").alias(f"s{c}"))
-        both = pairs.join(side("a"), "a").join(side("b"), "b").where(F.expr(f"least(size(sa), size(sb)) >= {similar} * greatest(size(sa), size(sb)) - 1e-9"))
+        """Sizes that exclude a link are told before sets are fetched, and only sets of what is left move."""
+        size = lambda c: owned.select(F.col("id").alias(c), F.col("n").alias(f"n{c}"))
+        close = pairs.join(size("a"), "a").join(size("b"), "b").where(F.expr(f"least(na, nb) >= {similar} * greatest(na, nb) - 1e-9"))
+        close = kept(close.select("a", "b"), "close")
+        needed = kept(close.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "needed")
+        texts = sets.join(needed, "id", "left_semi")
+        side = lambda c: texts.select(F.col("id").alias(c), F.col("s").alias(f"s{c}"))
         common = F.size(F.array_intersect("sa", "sb"))
-        return kept(both.where(common >= similar * (F.size("sa") + F.size("sb") - common) - 1e-9).select("a", "b"), "near")
+        both = close.join(side("a"), "a").join(side("b"), "b")
+        out = kept(both.where(common >= similar * (F.size("sa") + F.size("sb") - common) - 1e-9).select("a", "b"), "near")
+        released(close, needed)
+        return out
 
     tried = kept(bucket_pairs(entries), "pairs")
     links = verified(tried)

@@ -239,3 +239,15 @@ def test_pairs_are_told_apart_before_their_codes_move(spark):
     pairs = spark.createDataFrame([(1, 2), (1, 3), (2, 3)], "a long, b long")
     got = _told_alike(pairs, spark.createDataFrame([*lines, lines[0]], "id long, line string"), EDIT)
     assert [tuple(x) for x in got.collect()] == [(1, 2)]
+
+
+def test_lines_meet_by_simhash_too(spark, monkeypatch):
+    """The operator's SimHash step adds links that the runs chosen as keys do not show: with no key at all, lines of one
+    SimHash are still linked, and a third, unlike line is not."""
+    from facetsel.llm import lines
+
+    a = [f"word{i}" for i in range(30)]
+    docs = [(1, " ".join(a)), (2, " ".join([*a, "word3"])), (3, " ".join(f"other{i}" for i in range(30)))]
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    monkeypatch.setattr(lines, "RUNS", 0)
+    assert [tuple(x) for x in duplicate_lines(df, hamming=None).collect()] == [(2, 0, 1, 0)]  # none before

@@ -251,3 +251,14 @@ def test_lines_meet_by_simhash_too(spark, monkeypatch):
     df = spark.createDataFrame(docs, "doc_id long, text string")
     monkeypatch.setattr(lines, "RUNS", 0)
     assert [tuple(x) for x in duplicate_lines(df, hamming=None).collect()] == [(2, 0, 1, 0)]  # none before
+
+
+def test_stage_meets_by_simhash_too(spark, monkeypatch):
+    """The pipeline's stage has the SimHash step as the operator has it."""
+    from facetsel.llm import lines
+
+    a = " ".join(f"word{i}" for i in range(30))
+    docs = [(1, a), (2, f"{a} word3"), (3, " ".join(f"other{i}" for i in range(30)))]
+    monkeypatch.setattr(lines, "RUNS", 0)
+    got = line_stage(spark, spark.createDataFrame(docs, "doc_id long, text string"), "").collect()
+    assert sorted(tuple(x) for x in got) == [docs[0], docs[2]]  # all three before

@@ -2,16 +2,34 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from functools import reduce
+
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from facetsel.functions.session import kept
+from facetsel.functions.session import kept, released
+
+
+#: Parts of the buckets, or of pairs, that move one after another; of two, the low bits.
+SLICES = 8
+
+
+def bucket_pairs(entries: DataFrame, groups: DataFrame | None = None, marks: DataFrame | None = None, near: Column | None = None) -> DataFrame:
+    """Distinct (a, b), a < b, of entries (id, bucket), kept. Without groups, every member with its bucket's least id: as
+    many pairs as members. With groups (node, component), members of one bucket that lie in different ones, which is what
+    the first pairs left open; of these, with marks (id, ...), the ones for which near, a condition on l.* and r.* columns,
+    holds: it is asked inside the join, so that a large bucket of unlike members makes no rows. Buckets are hashes and go in slices, all of them; what a slice moves goes before the next
+    one moves."""
+    parts = []
+    for k in range(SLICES):
+        own = entries.where(F.col("bucket").bitwiseAND(F.lit(SLICES - 1)) == k)
+        parts.append(kept(_pairs(own, groups, marks, near), "pairs-part"))
+    out = kept(reduce(DataFrame.unionByName, parts).distinct(), "pairs")
+    released(*parts)
+    return out
 
 
-def bucket_pairs(entries: DataFrame, groups: DataFrame | None = None) -> DataFrame:
-    """Distinct (a, b), a < b, of entries (id, bucket). Without groups, every member with its bucket's least id: as many
-    pairs as members. With groups (node, component), members of one bucket that lie in different ones, which is what the
-    first pairs left open."""
+def _pairs(entries: DataFrame, groups: DataFrame | None, marks: DataFrame | None, near: Column | None) -> DataFrame:
     if groups is None:
         least = kept(entries.groupBy("bucket").agg(F.min("id").alias("a"), F.max("id").alias("z")).where("a < z").select("bucket", "a"), "leaders")
         pairs = entries.join(least, "bucket").where("id > a").select("a", F.col("id").alias("b"))
@@ -19,8 +37,9 @@ def bucket_pairs(entries: DataFrame, groups: DataFrame | None = None) -> DataFra
         told = entries.join(groups.withColumnRenamed("node", "id"), "id", "left").withColumn("c", F.coalesce("component", "id")).drop("component")
         mixed = told.groupBy("bucket").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("bucket")
         told = told.join(mixed, "bucket")
+        told = told if marks is None else told.join(marks, "id")
         on = (F.col("l.bucket") == F.col("r.bucket")) & (F.col("l.c") < F.col("r.c"))
-        pairs = told.alias("l").join(told.alias("r"), on).select(F.least("l.id", "r.id").alias("a"), F.greatest("l.id", "r.id").alias("b"))
+        pairs = told.alias("l").join(told.alias("r"), on if near is None else on & near).select(F.least("l.id", "r.id").alias("a"), F.greatest("l.id", "r.id").alias("b"))
     return pairs.distinct()
 
 

@@ -3,14 +3,18 @@ text. Built-in functions only; words are the rubric's tokens."""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from functools import reduce
+
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from facetsel.functions.graph import bucket_pairs, components
+from facetsel.functions.graph import SLICES, bucket_pairs, components
 from facetsel.functions.session import kept, released
 from facetsel.operators.baselines import tokens
 
 SHINGLE, SIMILAR, SHARED = 5, 0.8, 8
+#: Numbers of 64 bits that tell by parities which sets may be similar; a power of two.
+PARITIES = 8
 
 
 def shingles(texts: DataFrame, key: str, text: str, size: int) -> DataFrame:
@@ -39,12 +43,46 @@ def sets_of(pool: DataFrame, key: str, text: str, size: int) -> DataFrame:
     return out
 
 
+def _of_sets(pairs: DataFrame, sets: DataFrame, part: Column) -> DataFrame:
+    """pairs (a, b, ...) with that part of their sets, sa and sb. Only sets of the pairs move."""
+    needed = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
+    own = sets.select("id", part.alias("s")).join(needed, "id", "left_semi")
+    side = lambda c: own.select(F.col("id").alias(c), F.col("s").alias(f"s{c}"))
+    return pairs.join(side("a"), "a").join(side("b"), "b")
+
+
+def marks(sets: DataFrame) -> DataFrame:
+    """(id, n, p0, p1, ...), kept: the size of each set, and which of 64 * PARITIES bits an odd number of its hashes has."""
+    rows = sets.select("id", F.size("s").alias("n"), F.explode("s").alias("h"))
+    odd = [F.expr(f"bit_xor(if((shiftright(h, 6) & {PARITIES - 1}) = {k}, shiftleft(1L, cast(h & 63 as int)), 0L))").alias(f"p{k}") for k in range(PARITIES)]
+    return kept(rows.groupBy("id").agg(F.max("n").alias("n"), *odd), "marks")
+
+
+def alike(similar: float) -> Column:
+    """Whether sizes and parities of l and r allow the similarity, which loses no link: a hash of one set only turns one bit,
+    and of so many at most a link may have."""
+    size = F.expr(f"least(l.n, r.n) >= {similar} * greatest(l.n, r.n) - 1e-9")
+    turned = " + ".join(f"bit_count(l.p{k} ^ r.p{k})" for k in range(PARITIES))
+    return size & (F.expr(turned) <= (F.col("l.n") + F.col("r.n")) * ((1 - similar) / (1 + similar)) + 1e-6)
+
+
+def may_link(similar: float) -> Column:
+    """Whether the least hashes sa and sb of two sets of na and nb allow the similarity, which loses no link: up to the last
+    hash that both show, what only one of them has is of one set only, and of so many at most a link may have."""
+    last = F.least(F.element_at("sa", -1), F.element_at("sb", -1))
+    upto = lambda c: F.size(F.filter(c, lambda x: x <= last))
+    apart = upto("sa") + upto("sb") - 2 * F.size(F.array_intersect("sa", "sb"))
+    return apart <= (F.col("na") + F.col("nb")) * ((1 - similar) / (1 + similar)) + 1e-6
+
+
 def near_duplicates(pool: DataFrame, key: str = "instance_id", text: str = "body", similar: float = SIMILAR) -> DataFrame:
     """(id, component, stays) of every row with tokens: sets of runs of five tokens whose Jaccard similarity is reached are
     linked; of each connected group the least id stays.
 
     No link is lost: of two sets that are similar enough, the first n - ceil(similar * n) + 1 runs by hash hold a common
-    one, so only these are keys, a fifth of all. Equal sets are one node. Pairs are verified on the full sets."""
+    one, so only these are keys, a fifth of all. Equal sets are one node. Pairs of different groups
+    are told apart by parities of their sets inside the join, all by their first runs, as far as these show how many runs are
+    of one set only, and what is left is verified on the full sets, in slices."""
     sets = sets_of(pool, key, text, SHINGLE)
     told = kept(sets.select("id", F.size("s").alias("n"), F.xxhash64("s").alias("d1"), F.xxhash64(F.lit(7), F.col("s")).alias("d2")), "digests")
     same = kept(told.groupBy("d1", "d2").agg(F.min("id").alias("rep")), "same")
@@ -55,23 +93,30 @@ def near_duplicates(pool: DataFrame, key: str = "instance_id", text: str = "body
     entries = kept(heads.select("id", F.explode("head").alias("bucket")), "heads")
 
     def verified(pairs: DataFrame) -> DataFrame:
-        """Sizes that exclude a link are told before sets are fetched, and only sets of what is left move."""
+        """Sizes that exclude a link are told before first runs are fetched, and those that do before sets are fetched; of
+        a slice of the pairs the sets go before the next one's move."""
         size = lambda c: owned.select(F.col("id").alias(c), F.col("n").alias(f"n{c}"))
         close = pairs.join(size("a"), "a").join(size("b"), "b").where(F.expr(f"least(na, nb) >= {similar} * greatest(na, nb) - 1e-9"))
-        close = kept(close.select("a", "b"), "close")
-        needed = kept(close.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "needed")
-        texts = sets.join(needed, "id", "left_semi")
-        side = lambda c: texts.select(F.col("id").alias(c), F.col("s").alias(f"s{c}"))
-        common = F.size(F.array_intersect("sa", "sb"))
-        both = close.join(side("a"), "a").join(side("b"), "b")
-        out = kept(both.where(common >= similar * (F.size("sa") + F.size("sb") - common) - 1e-9).select("a", "b"), "near")
-        released(close, needed)
-        return out
-
-    tried = kept(bucket_pairs(entries), "pairs")
+        close, found = kept(close, "close"), []
+        for k in range(SLICES):
+            own = close.where(F.pmod(F.xxhash64("a"), F.lit(SLICES)) == k)
+            near = kept(_of_sets(own, sets, head).where(may_link(similar)).select("a", "b"), "may-link")
+            common = F.size(F.array_intersect("sa", "sb"))
+            both = _of_sets(near, sets, F.col("s"))
+            found.append(kept(both.where(common >= similar * (F.size("sa") + F.size("sb") - common) - 1e-9).select("a", "b"), "near"))
+            released(near)
+        released(close)
+        return reduce(DataFrame.unionByName, found)
+
+    tried = bucket_pairs(entries)
     links = verified(tried)
     groups = components(links)
-    more = verified(kept(bucket_pairs(entries, groups).join(tried, ["a", "b"], "left_anti"), "pairs"))
+    marked = marks(sets)
+    open_pairs = bucket_pairs(entries, groups, marked, alike(similar))
+    left = kept(open_pairs.join(tried, ["a", "b"], "left_anti"), "pairs-left")
+    released(tried, open_pairs, entries, marked)
+    more = verified(left)
+    released(left)
     groups = groups if more.isEmpty() else components(links.unionByName(more))
     out = owned.join(groups, F.col("rep") == F.col("node"), "left").select("id", F.coalesce("component", "rep").alias("component"))
     return out.withColumn("stays", F.col("id") == F.col("component"))
